@@ -14,6 +14,7 @@ from __future__ import annotations
 import base64
 import hashlib
 from collections.abc import Iterator
+from struct import pack
 
 import numpy as np
 import pandas as pd
@@ -27,7 +28,7 @@ from .common import bound_batches, read_table
 
 CHUNK, OVERLAP = 1 << 16, 1 << 10
 #: Pieces whose ids are remembered before the memory is emptied.
-REMEMBERED = 1 << 18
+REMEMBERED = 1 << 20
 #: Characters after a match that its end may depend on: the longest literal alternative of the pattern.
 LOOKAHEAD = 3
 
@@ -99,7 +100,7 @@ class _Memory(dict):
     def __missing__(self, piece: str) -> bytes:
         if len(self) >= REMEMBERED:
             self.clear()
-        ids = np.asarray(self.encode(piece), dtype="<u4").tobytes()
+        ids = pack(f"<{len(found := self.encode(piece))}I", *found)
         if len(piece) <= 64:
             self[piece] = ids
         return ids
