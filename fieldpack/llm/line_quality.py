@@ -168,7 +168,9 @@ def chain_gradient(e: np.ndarray, y: np.ndarray, mask: np.ndarray, trans: np.nda
 
 
 def train_chain(texts: list[str], good: list[int], epochs: int = 200, rate: float = 0.15, l2: float = 1e-3) -> dict:
-    """Fits the chain on documents whose lines all take their document's label (weak labels)."""
+    """Fits the chain on weak labels. First the emissions alone are fitted, every line with its
+    document's label; then the lines of bad documents that look like content become content, and
+    the whole chain is fitted on the lines so labelled."""
     if not texts or len(set(good)) < 2:
         return PRIOR
     table = line_table(texts)
@@ -181,20 +183,30 @@ def train_chain(texts: list[str], good: list[int], epochs: int = 200, rate: floa
     rows, mask, y = np.zeros((len(seqs), steps), dtype=np.int64), np.zeros((len(seqs), steps), dtype=bool), np.zeros((len(seqs), steps))
     for i, (s, label) in enumerate(seqs):
         rows[i, : len(s)], mask[i, : len(s)], y[i, : len(s)] = s, True, label
-    w, trans = np.array(PRIOR["w"]), np.array(PRIOR["trans"])
+    w = _descend(x, rows, mask, y, np.array(PRIOR["w"]), np.zeros((2, 2)), False, epochs, rate, l2)[0]
+    alike = ((x @ w)[rows] > 0) & mask & (y == 0)
+    alike[(alike == mask).all(axis=1)] = False  # at least one line of a bad sequence is bad
+    y = np.where(alike, 1.0, y)
+    w, trans = _descend(x, rows, mask, y, w, np.array(PRIOR["trans"]), True, epochs, rate, l2)
+    return {"w": w.tolist(), "trans": trans.tolist()}
+
+
+def _descend(x, rows, mask, y, w, trans, chained, epochs, rate, l2):
+    """Adam on the likelihood of the chain; without `chained`, the transitions stay as they are."""
     m, v = np.zeros(len(w) + 4), np.zeros(len(w) + 4)
-    used = np.unique(rows[mask])
-    scale = 1 / max(1, len(used))
+    scale = 1 / max(1, int(mask.sum()))
     for step in range(1, epochs + 1):
         e = np.where(mask, (x @ w)[rows], 0.0)
-        _, g_e, g_t = chain_gradient(e, y, mask, trans)
-        g_line = np.zeros(len(x))
-        np.add.at(g_line, rows[mask], g_e[mask])
-        g = np.concatenate([x.T @ g_line * scale + l2 * w, g_t.ravel() * scale + l2 * trans.ravel()])
+        if chained:
+            _, g_e, g_t = chain_gradient(e, y, mask, trans)
+        else:
+            g_e, g_t = np.where(mask, 1 / (1 + np.exp(-e)) - y, 0.0), np.zeros((2, 2))
+        g_line = np.bincount(rows[mask], weights=g_e[mask], minlength=len(x))
+        g = np.concatenate([x.T @ g_line * scale + l2 * w, (g_t.ravel() * scale + l2 * trans.ravel()) * chained])
         m, v = 0.9 * m + 0.1 * g, 0.999 * v + 0.001 * g * g
         move = rate * (m / (1 - 0.9**step)) / (np.sqrt(v / (1 - 0.999**step)) + 1e-8)
         w, trans = w - move[: len(w)], trans - move[len(w) :].reshape(2, 2)
-    return {"w": w.tolist(), "trans": trans.tolist()}
+    return w, trans
 
 
 VERDICT = StructType(
