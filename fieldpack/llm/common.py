@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import atexit
+import gc
 import tempfile
 import uuid
 
@@ -49,6 +50,8 @@ def stage(df: DataFrame, name: str, partition_by: list[str] | None = None) -> Da
     writer = df.write.option("compression", "zstd")
     (writer.partitionBy(*partition_by) if partition_by else writer).parquet(path)
     atexit.register(_remove, spark, path)
+    gc.collect()
+    spark._jvm.System.gc()  # shuffle files of the plan that is now written can go at once
     return spark.read.schema(df.schema).parquet(path)
 
 

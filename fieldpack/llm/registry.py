@@ -8,10 +8,12 @@ from pyspark.sql import DataFrame, SparkSession
 
 from .bpe import op3_byte_bpe
 from .line_quality import op8_line_quality
+from .mixing import op6_mix_sources
 from .secrets import OP7_SQL, op7_secret_scan
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op3_byte_bpe": op3_byte_bpe,
+    "op6_mix_sources": op6_mix_sources,
     "op7_secret_scan": op7_secret_scan,
     "op8_line_quality": op8_line_quality,
 }
