@@ -9,6 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 from .bpe import op3_byte_bpe
 from .line_quality import op8_line_quality
 from .mixing import op6_mix_sources
+from .near_dedup import OP9_SQL, op9_near_dedup
 from .secrets import OP7_SQL, op7_secret_scan
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
@@ -16,8 +17,10 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op6_mix_sources": op6_mix_sources,
     "op7_secret_scan": op7_secret_scan,
     "op8_line_quality": op8_line_quality,
+    "op9_near_dedup": op9_near_dedup,
 }
 
 ORACLES: dict[str, str] = {
     "op7_secret_scan": OP7_SQL,
+    "op9_near_dedup": OP9_SQL,
 }
