@@ -7,11 +7,13 @@ from a seeded hash of its id and w its quality weight, and documents are taken i
 keys until the prefix sum of their sizes reaches the budget. The document at the border gives the
 words that are still missing, so every source meets its target.
 
-The prefix sums never put a source into one task: keys are cut into ranges, ranges are summed
-first, and rows are ordered within a range only.
+The prefix sums never put a source into one task: keys are cut into ranges and ranges are summed;
+only the range in which a source's budget ends is ordered by row. That gives one border per source,
+and every document is then held against its source's border where it lies, without a shuffle.
 
 Cases: null or empty texts have size 0 and are taken with 0 words; the null source is a source of
-its own, placed last; equal keys are ordered by id, size and text hash; repeated rows each count;
+its own, placed last; equal keys are ordered by id, size and text hash; rows that
+are equal in all of these share what the border gives;
 an empty table gives an empty mix.
 """
 
@@ -73,46 +75,78 @@ def exponential_key(id_col: Column, weight: Column, seed: int) -> Column:
     return -F.log((bits + 0.5) / float(1 << 53)) / weight
 
 
-def mix_measures(docs: DataFrame, plan: MixPlan, id_col: str = "doc_id") -> DataFrame:
-    """Narrow rows of the documents: id, source, size, key and a text hash that orders equal keys."""
+def measured(docs: DataFrame, plan: MixPlan) -> DataFrame:
+    """`docs` with mix_size, mix_key and mix_hash (orders equal keys)."""
     text = F.coalesce(F.col("text"), F.lit(""))
-    return docs.select(
-        F.col(id_col).alias("doc_id"), F.col("source"), F.regexp_count(text, F.lit(WORD)).cast("long").alias("size"),
-        exponential_key(F.col(id_col), quality_weight(text), plan.seed).alias("mix_key"), F.xxhash64(text).alias("text_hash"),
-    )
+    return docs.withColumns({
+        "mix_size": F.regexp_count(text, F.lit(WORD)).cast("long"),
+        "mix_key": exponential_key(F.col("doc_id"), quality_weight(text), plan.seed),
+        "mix_hash": F.xxhash64(text),
+    })
+
+
+def _place(alias: str = "") -> Column:
+    return F.struct(*[F.col(f"{alias}{c}") for c in ("mix_key", "doc_id", "mix_size", "mix_hash")])
 
 
 def plan_mix(measures: DataFrame, plan: MixPlan) -> DataFrame:
-    """Adds source_size, target, epochs (whole copies), part (words of a further, partial copy) and taken.
+    """One row per source: mix_source, source_size, target, epochs (whole copies), and the border: the
+    place in the order of keys where the fractional selection ends and the words that the border gives.
 
-    The driver sees one row per source (a source list, not documents); `measures` should be staged."""
+    `measures` has source, doc_id, mix_size, mix_key, mix_hash and should be staged. The driver sees
+    one row per source (a list of sources, not of documents)."""
     spark = measures.sparkSession
-    stats = measures.groupBy("source").agg(F.sum("size").cast("long").alias("source_size"), F.count("*").alias("n")).collect()
-    targets = source_targets([(r["source"], int(r["source_size"] or 0)) for r in stats], plan)
+    stats = measures.groupBy("source").agg(F.sum("mix_size").cast("long").alias("size"), F.count("*").alias("n")).collect()
+    targets = source_targets([(r["source"], int(r["size"] or 0)) for r in stats], plan)
     rows = []
     for r in stats:
-        size, words = int(r["source_size"] or 0), round(targets[r["source"]])
+        size, words = int(r["size"] or 0), round(targets[r["source"]])
         epochs = words // size if size else 0
         ranges = 1 << max(0, (int(r["n"]) // plan.rows_per_range)).bit_length()
         rows.append((r["source"], size, float(targets[r["source"]]), int(epochs), words - epochs * size, ranges))
-    facts = spark.createDataFrame(rows, "source string, source_size long, target double, epochs long, budget long, ranges int")
+    facts = spark.createDataFrame(rows, "mix_source string, source_size long, target double, epochs long, budget long, ranges int")
+    beside = (lambda df: F.broadcast(df)) if len(rows) <= 100_000 else (lambda df: df)
     # 1 - exp(-key) rises with the key and spreads over (0, 1): equal ranges of it hold comparable numbers of rows
     spread = 1 - F.exp(-F.col("mix_key"))
-    placed = measures.join(facts if len(rows) > 100_000 else F.broadcast(facts), measures["source"].eqNullSafe(facts["source"])).drop(facts["source"])
-    placed = placed.withColumn("mix_range", F.least(F.floor(spread * F.col("ranges")), F.col("ranges") - 1).cast("int"))
-    sums = placed.groupBy("source", "mix_range").agg(F.sum("size").alias("range_size"))
-    before = Window.partitionBy("source").orderBy("mix_range").rowsBetween(Window.unboundedPreceding, -1)
-    offsets = sums.select(F.col("source").alias("o_source"), F.col("mix_range").alias("o_range"), F.coalesce(F.sum("range_size").over(before), F.lit(0)).alias("offset"))
-    within = Window.partitionBy("source", "mix_range").orderBy("mix_key", "doc_id", "size", "text_hash").rowsBetween(Window.unboundedPreceding, -1)
-    summed = placed.withColumn("inside", F.coalesce(F.sum("size").over(within), F.lit(0)))
-    joined = summed.join(offsets, summed["source"].eqNullSafe(offsets["o_source"]) & (summed["mix_range"] == offsets["o_range"]))
-    part = F.greatest(F.lit(0), F.least(F.col("size"), F.col("budget") - F.col("offset") - F.col("inside"))).cast("long")
-    return joined.select("doc_id", "source", "size", "source_size", "target", "epochs", part.alias("part"), (F.col("epochs") * F.col("size") + part).alias("taken"), "text_hash")
+    placed = measures.join(beside(facts), F.col("source").eqNullSafe(F.col("mix_source"))).withColumn("mix_range", F.least(F.floor(spread * F.col("ranges")), F.col("ranges") - 1).cast("int"))
+    sums = placed.groupBy("mix_source", "mix_range").agg(F.sum("mix_size").alias("words"))
+    upto = Window.partitionBy("mix_source").orderBy("mix_range").rowsBetween(Window.unboundedPreceding, 0)
+    summed = sums.withColumn("after", F.sum("words").over(upto)).withColumn("offset", F.col("after") - F.col("words"))
+    last = summed.join(beside(facts.select(F.col("mix_source").alias("s"), "budget")), F.col("mix_source").eqNullSafe(F.col("s"))).where((F.col("offset") < F.col("budget")) & (F.col("budget") <= F.col("after")))
+    ends = stage(last.select("s", F.col("mix_range").alias("end_range"), "offset"), "mix-ends")
+    near = placed.join(beside(ends), F.col("mix_source").eqNullSafe(F.col("s")) & (F.col("mix_range") == F.col("end_range")))
+    tied = near.groupBy("s", "mix_key", "doc_id", "mix_size", "mix_hash", "offset", "budget").agg(F.count("*").alias("alike"))
+    order = Window.partitionBy("s").orderBy("mix_key", "doc_id", "mix_size", "mix_hash").rowsBetween(Window.unboundedPreceding, 0)
+    run = tied.withColumn("after", F.col("offset") + F.sum(F.col("mix_size") * F.col("alike")).over(order)).withColumn("left", F.col("budget") - F.col("after") + F.col("mix_size") * F.col("alike"))
+    border = run.where((F.col("left") > 0) & (F.col("after") >= F.col("budget"))).select("s", _place().alias("border"), F.round(F.col("left") / F.col("alike")).cast("long").alias("border_words"))
+    return facts.join(border, F.col("mix_source").eqNullSafe(F.col("s")), "left").select("mix_source", "source_size", "target", "epochs", "border", "border_words")
+
+
+def apply_mix(docs: DataFrame, sources: DataFrame, n_sources: int | None = None) -> DataFrame:
+    """`docs` (measured) with source_size, target, epochs, part (words of one more, partial copy) and taken."""
+    beside = F.broadcast(sources) if (n_sources if n_sources is not None else sources.count()) <= 100_000 else sources
+    joined = docs.join(beside, F.col("source").eqNullSafe(F.col("mix_source")))
+    part = F.when(F.col("border").isNull() | (_place() > F.col("border")), F.lit(0)).when(_place() == F.col("border"), F.least("border_words", "mix_size")).otherwise(F.col("mix_size"))
+    return joined.withColumn("part", part.cast("long")).withColumn("taken", F.col("epochs") * F.col("mix_size") + F.col("part")).drop("mix_source", "border", "border_words")
+
+
+def mix_plan_of(docs: DataFrame, plan: MixPlan = MixPlan()) -> tuple[DataFrame, DataFrame]:
+    """The staged measures of `docs` and the staged plan of its sources."""
+    measures = stage(measured(docs, plan).select("doc_id", "source", "mix_size", "mix_key", "mix_hash"), "mix-measures")
+    return measures, stage(plan_mix(measures, plan), "mix-sources")
 
 
 def mix_documents(docs: DataFrame, plan: MixPlan = MixPlan()) -> DataFrame:
-    """The mix's plan, one row for each row of `docs`."""
-    return plan_mix(stage(mix_measures(docs, plan), "mix-measures"), plan)
+    """The mixed corpus with the columns of `docs`: whole copies first, then the partial one, cut after its last word taken."""
+    cols = docs.columns
+    _, sources = mix_plan_of(docs, plan)
+    dealt = apply_mix(measured(docs, plan), sources)
+    copies = F.concat(F.array_repeat(F.lit(-1).cast("long"), F.col("epochs").cast("int")), F.when((F.col("part") > 0) | ((F.col("mix_size") == 0) & (F.col("epochs") == 0)), F.array("part")).otherwise(F.array().cast("array<long>")))
+    cut = F.when((F.col("copy_words") < 0) | (F.col("copy_words") >= F.col("mix_size")), F.col("text")).otherwise(first_words(F.col("text"), F.col("copy_words")))
+    out = dealt.withColumn("copy_words", F.explode(copies)).withColumn("text", cut)
+    if "n_chars" in cols:
+        out = out.withColumn("n_chars", F.length("text").cast("long"))
+    return out.select(*cols)
 
 
 def first_words(text: Column, n: Column) -> Column:
@@ -122,5 +156,5 @@ def first_words(text: Column, n: Column) -> Column:
 
 
 def op6_mix_sources(spark: SparkSession, sf_dir: str) -> DataFrame:
-    plan = mix_documents(read_table(spark, sf_dir, "documents", "doc_id", "text", "source"))
-    return plan.select("doc_id", "size", "source_size", "target", "taken", "epochs", "part")
+    measures, sources = mix_plan_of(read_table(spark, sf_dir, "documents", "doc_id", "text", "source"))
+    return apply_mix(measures, sources).select("doc_id", F.col("mix_size").alias("size"), "source_size", "target", "taken", "epochs", "part")
