@@ -11,10 +11,12 @@ from .line_quality import op8_line_quality
 from .mixing import op6_mix_sources
 from .near_dedup import OP9_SQL, op9_near_dedup
 from .secrets import OP7_SQL, op7_secret_scan
+from .topk import OP4_SQL, op4_top_k
 from .warc import OP5_SQL, op5_arc_to_warc
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op3_byte_bpe": op3_byte_bpe,
+    "op4_top_k": op4_top_k,
     "op5_arc_to_warc": op5_arc_to_warc,
     "op6_mix_sources": op6_mix_sources,
     "op7_secret_scan": op7_secret_scan,
@@ -23,6 +25,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
 }
 
 ORACLES: dict[str, str] = {
+    "op4_top_k": OP4_SQL,
     "op5_arc_to_warc": OP5_SQL,
     "op7_secret_scan": OP7_SQL,
     "op9_near_dedup": OP9_SQL,
