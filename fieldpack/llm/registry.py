@@ -10,11 +10,13 @@ from .bpe import op3_byte_bpe
 from .line_quality import op8_line_quality
 from .mixing import op6_mix_sources
 from .near_dedup import OP9_SQL, op9_near_dedup
+from .rule_quality import op2_rule_quality
 from .secrets import OP7_SQL, op7_secret_scan
 from .topk import OP4_SQL, op4_top_k
 from .warc import OP5_SQL, op5_arc_to_warc
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
+    "op2_rule_quality": op2_rule_quality,
     "op3_byte_bpe": op3_byte_bpe,
     "op4_top_k": op4_top_k,
     "op5_arc_to_warc": op5_arc_to_warc,
