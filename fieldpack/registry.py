@@ -6,9 +6,15 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
+from .plans import field_queries
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 ORACLES: dict[str, str] = {}
+for _part in (field_queries,):
+    QUERIES |= _part.QUERIES
+    ORACLES |= _part.ORACLES
 
 
 def entry(spark: SparkSession, sf_dir: str) -> DataFrame:
-    raise NotImplementedError
+    """The flagship: a table is gridded, encoded in three scales with empty blocks dropped, decoded and judged."""
+    return QUERIES["mean_block_codec"](spark, sf_dir)
