@@ -6,6 +6,7 @@ import atexit
 import gc
 import tempfile
 import uuid
+from functools import cache
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -25,13 +26,14 @@ def bound_batches(spark: SparkSession, rows: int = ROWS_PER_BATCH) -> None:
     spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", str(rows))
 
 
+@cache
+def _own_folder() -> str:
+    return tempfile.mkdtemp(prefix="fieldpack-stage-")
+
+
 def staging_dir(spark: SparkSession) -> str:
     """The folder that driver and executors share: `spark.checkpoint.dir`; only where it is unset (tests), a temporary one."""
-    where = spark.conf.get("spark.checkpoint.dir", None)
-    if not where:
-        where = tempfile.mkdtemp(prefix="fieldpack-stage-")
-        spark.conf.set("spark.checkpoint.dir", where)
-    return where
+    return spark.conf.get("spark.checkpoint.dir", None) or _own_folder()
 
 
 def _remove(spark: SparkSession, path: str) -> None:
