@@ -28,7 +28,7 @@ from .common import bound_batches, labelled_sample, read_table
 #: The white space and the symbols of the contract, as bytes.
 SPACE, SYMBOLS = b" \t\n\x0b\x0c\r", b"#*$%&|<>"
 #: A batch of texts is worked on in parts of about so many bytes.
-PART_BYTES = 1 << 22
+PART_BYTES = 1 << 20
 FEATURES = ["bias", "symbols", "upper", "bars", "digits", "marks", "repeated_line", "repeated_words", "short", "long_words", "unended", "edge"]
 #: Used where no labelled rows exist: emission weights for content, then stay and switch scores.
 PRIOR = {"w": [1.5, -3.0, -4.0, -3.0, -2.0, -8.0, -1.5, -4.0, -0.3, -0.5, -0.3, 0.0], "trans": [[0.7, -0.7], [-0.7, 0.7]]}

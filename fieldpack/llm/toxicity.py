@@ -233,7 +233,7 @@ def encode_words(docs: list[list[str]], tables: Tables, memory: dict | None = No
         got = memory.get(w)
         if got is None:
             got = tables.inputs(w)
-            if len(memory) < 400_000:
+            if len(memory) < 150_000:
                 memory[w] = got
         rows.append(got)
     feats = np.array([*rows, (0.0,) * INPUTS])
@@ -342,7 +342,7 @@ def toxic_score(text: Column, model: ToxicModel) -> Column:
             for t in col:
                 part.append(t)
                 size += len(t or "")
-                if size >= 1 << 21:
+                if size >= 1 << 20:
                     out.append(model.scores(part, memory))
                     part, size = [], 0
             if part:
