@@ -11,6 +11,9 @@ Bands of coordinates give buckets. Copies are folded first (equal sets are one c
 
 A pair that shares a bucket is thus either joined by confirmed links or tested itself. With 48
 bands of 6 coordinates a pair at similarity 0.8 misses every bucket with probability below 5e-7.
+Before sets are fetched, pairs whose sketches differ too much are dropped: one bit of each of 256
+coordinates, of which a pair at 0.8 differs in a tenth (26); more than 57 differ with probability
+below 1e-9.
 
 Cases: null and empty texts have an empty set and are linked with nothing; fewer than k words make
 one shingle of the whole sequence; repeated rows get equal results; rows without a doc_id are
@@ -119,22 +122,43 @@ def band_keys(table: np.ndarray, bands: int) -> np.ndarray:
     return key.view(np.int64) if key.flags["C_CONTIGUOUS"] else np.ascontiguousarray(key).view(np.int64)
 
 
+#: One bit of so many coordinates goes along with a class, packed into longs; pairs may differ in at most MOST_BITS.
+SKETCH_BITS, MOST_BITS = 256, 57
+
+
+def sketch_bits(table: np.ndarray) -> np.ndarray:
+    """(sets, SKETCH_BITS / 64) longs: a well-mixed bit of each of the first coordinates."""
+    wide = table[:, np.arange(SKETCH_BITS) % table.shape[1]]
+    with np.errstate(over="ignore"):
+        bits = (mix64(wide ^ _M3) >> _U(17)) & _U(1)
+    return (bits.reshape(len(table), -1, 64) << np.arange(64, dtype=np.uint64)).sum(axis=2, dtype=np.uint64).view(np.int64)
+
+
+def bits_apart(a: Column, b: Column) -> Column:
+    """In how many bits two packed sketches differ."""
+    apart = F.lit(0)
+    for i in range(SKETCH_BITS // 64):
+        apart = apart + F.bit_count(F.get(a, F.lit(i)).bitwiseXOR(F.get(b, F.lit(i))))
+    return apart
+
+
 def sketch_documents(docs: DataFrame, p: NearDup) -> DataFrame:
-    """(doc_id, n_shingles, digest, bands): the digest is equal for equal sets."""
+    """(doc_id, n_shingles, digest, bands, bits): the digest is equal for equal sets."""
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for pdf in batches:
             for i in range(0, len(pdf), 250):
                 part = pdf.iloc[i : i + 250]
                 sets = shingle_sets(part["text"].tolist(), p.words)
-                keys = band_keys(sketch(sets, p.bins), p.bands)
+                table = sketch(sets, p.bins)
+                keys = band_keys(table, p.bands)
                 yield pd.DataFrame({
                     "doc_id": part["doc_id"].array, "n_shingles": [len(s) for s in sets],
                     "digest": [hashlib.blake2b(s.tobytes(), digest_size=16).digest() for s in sets],
-                    "bands": [k if len(s) else [] for k, s in zip(keys, sets)],
+                    "bands": [k if len(s) else [] for k, s in zip(keys, sets)], "bits": list(sketch_bits(table)),
                 })
 
-    return docs.select(F.col("doc_id").cast("long"), "text").mapInPandas(run, "doc_id long, n_shingles long, digest binary, bands array<long>")
+    return docs.select(F.col("doc_id").cast("long"), "text").mapInPandas(run, "doc_id long, n_shingles long, digest binary, bands array<long>, bits array<long>")
 
 
 def set_bytes(text: Column, k: int) -> Column:
@@ -176,20 +200,23 @@ def near_duplicates(docs: DataFrame, p: NearDup = NearDup()) -> DataFrame:
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
     sketched = stage(sketch_documents(texts, p), "near-sketches")
     usable = sketched.where(F.col("doc_id").isNotNull() & (F.col("n_shingles") > 0))
-    classes = stage(usable.groupBy("digest").agg(F.min(F.struct("doc_id", "n_shingles", "bands")).alias("c")).select("digest", F.col("c.doc_id").alias("id"), F.col("c.n_shingles").alias("n"), "c.bands"), "near-classes")
+    classes = stage(usable.groupBy("digest").agg(F.min(F.struct("doc_id", "n_shingles", "bands", "bits")).alias("c")).select("digest", F.col("c.doc_id").alias("id"), F.col("c.n_shingles").alias("n"), "c.bands", "c.bits"), "near-classes")
     banded = classes.select("id", "n", F.explode("bands").alias("bucket"))
     shared = stage(banded.groupBy("bucket").agg(F.min(F.struct("id", "n")).alias("c"), F.count("*").alias("members")).where("members > 1").select("bucket", F.col("c.id").alias("centre"), F.col("c.n").alias("centre_n"), "members"), "near-buckets")
     member = stage(banded.join(shared, "bucket"), "near-members")
     sized = lambda a, b: F.least(a, b) * 100 >= F.greatest(a, b) * p.percent
     stars = stage(member.where((F.col("id") != F.col("centre")) & sized(F.col("n"), F.col("centre_n"))).select(F.col("centre").alias("a"), F.col("id").alias("b")).distinct(), "near-stars")
-    links = confirm(stars, texts, p)
+    bits = lambda k: classes.select(F.col("id").alias(k), F.col("bits").alias(f"bits_{k}"))
+    near = stars.join(bits("b"), "b").join(bits("a"), "a").where(bits_apart(F.col("bits_a"), F.col("bits_b")) <= MOST_BITS).select("a", "b")
+    links = confirm(stage(near, "near-pairs"), texts, p)
     parts = stage(connected_components(links), "near-parts")
     # pairs across components that share a bucket of three or more: all but those already tested
     placed = member.where("members > 2").join(parts, "id", "left").select("bucket", "id", "n", F.coalesce("component", "id").alias("part"))
     mixed = stage(placed.groupBy("bucket").agg(F.min("part").alias("lo"), F.max("part").alias("hi")).where("lo <> hi").select("bucket"), "near-mixed")
-    left = stage(placed.join(mixed, "bucket"), "near-rest")
-    x, y = left.select("bucket", F.col("id").alias("a"), F.col("n").alias("n_a"), F.col("part").alias("part_a")), left.select("bucket", F.col("id").alias("b"), F.col("n").alias("n_b"), F.col("part").alias("part_b"))
-    rest = x.join(y, "bucket").where((F.col("a") < F.col("b")) & (F.col("part_a") != F.col("part_b")) & sized(F.col("n_a"), F.col("n_b"))).select("a", "b").distinct().join(stars, ["a", "b"], "left_anti")
+    left = stage(placed.join(mixed, "bucket").join(classes.select("id", "bits"), "id"), "near-rest")
+    side = lambda k: left.select("bucket", F.col("id").alias(k), *[F.col(c).alias(f"{c}_{k}") for c in ("n", "part", "bits")])
+    alike = bits_apart(F.col("bits_a"), F.col("bits_b")) <= MOST_BITS
+    rest = side("a").join(side("b"), "bucket").where((F.col("a") < F.col("b")) & (F.col("part_a") != F.col("part_b")) & sized(F.col("n_a"), F.col("n_b")) & alike).select("a", "b").distinct().join(stars, ["a", "b"], "left_anti")
     rest = stage(rest, "near-rest-pairs")
     if not rest.isEmpty():
         more = confirm(rest, texts, p)
