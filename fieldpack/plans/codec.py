@@ -47,7 +47,7 @@ class CodecConfig:
     def quick(epochs: int = 40, **changes) -> CodecConfig:
         """The same method with short training, for tests and small machines."""
         rounds = ((epochs // 2, 0.2), (3 * epochs // 4, 0.3))
-        base = CodecConfig(schedule=N.Schedule(epochs=(epochs,), rate=3e-3, rounds=rounds, finetune=3), kmeans_steps=4)
+        base = CodecConfig(schedule=N.Schedule(epochs=(epochs,), rate=3e-3, rounds=rounds, finetune=2), kmeans_steps=4)
         return replace(base, **changes)
 
     @staticmethod
