@@ -5,9 +5,12 @@ bin, round after round, until all bins are filled; from round t on, one bin is f
 no coordinate stays empty and collisions of two sketches concentrate around the Jaccard similarity.
 Bands of coordinates give buckets. Copies are folded first (equal sets are one class); then
 
-1. in every bucket each class is paired with the bucket's smallest class only (no pair explosion);
+1. in every bucket each class is paired with one centre only, the class that meets most others (the
+   text that copies were made from meets more of them than they do each other);
 2. pairs are confirmed on full sets, and confirmed pairs make components;
-3. buckets that still hold two or more components give the pairs across them, confirmed likewise.
+3. classes that meet in buckets that still hold two or more components form families. A family is
+   packed into blocks with the full sets; pairs of blocks go to workers, which test every pair across
+   components that shares a band and give back links only: pairs are never rows.
 
 A pair that shares a bucket is thus either joined by confirmed links or tested itself. With 48
 bands of 6 coordinates a pair at similarity 0.8 misses every bucket with probability below 5e-7.
@@ -122,6 +125,10 @@ def band_keys(table: np.ndarray, bands: int) -> np.ndarray:
     return key.view(np.int64) if key.flags["C_CONTIGUOUS"] else np.ascontiguousarray(key).view(np.int64)
 
 
+#: Rounds of centres before all remaining pairs across components are tried.
+CENTRE_ROUNDS = 1
+#: Classes of a block when families are gone through in pairs of blocks.
+BLOCK_CLASSES = 192
 #: One bit of so many coordinates goes along with a class, packed into longs; pairs may differ in at most MOST_BITS.
 SKETCH_BITS, MOST_BITS = 256, 57
 
@@ -181,49 +188,150 @@ def overlap(a: Column, b: Column) -> Column:
     return run(a, b)
 
 
-def confirm(pairs: DataFrame, texts: DataFrame, p: NearDup) -> DataFrame:
-    """The pairs (a, b) whose full sets reach the similarity. Only texts that a pair names are turned into sets."""
-    bound_batches(pairs.sparkSession, 500)
-    named = pairs.select(F.col("a").alias("id")).union(pairs.select(F.col("b").alias("id"))).distinct()
-    sets = stage(texts.join(stage(named, "near-named"), texts["doc_id"] == F.col("id"), "left_semi").dropDuplicates(["doc_id"]).select("doc_id", set_bytes(F.col("text"), p.words).alias("shingles")), "near-sets")
-    left, right = sets.select(F.col("doc_id").alias("a"), F.col("shingles").alias("set_a")), sets.select(F.col("doc_id").alias("b"), F.col("shingles").alias("set_b"))
-    both = pairs.join(right, "b").join(left, "a").select("a", "b", (F.octet_length("set_a") / 8).cast("long").alias("size_a"), (F.octet_length("set_b") / 8).cast("long").alias("size_b"), overlap(F.col("set_a"), F.col("set_b")).alias("common"))
-    sure = stage(both.where(F.col("common") * 100 >= (F.col("size_a") + F.col("size_b") - F.col("common")) * p.percent).select("a", "b"), "near-links")
-    drop_staged(sets)
-    return sure
+class SetStore:
+    """The full sets of those documents that a pair has named so far, staged; texts are read again only for new names."""
+
+    def __init__(self, texts: DataFrame, p: NearDup):
+        self.texts, self.p, self.parts = texts, p, []
+
+    def sets(self, named: DataFrame) -> DataFrame:
+        known = self._all()
+        fresh = stage(named if known is None else named.join(known.select(F.col("doc_id").alias("id")), "id", "left_anti"), "near-named")
+        if known is None or not fresh.isEmpty():
+            own = self.texts.join(fresh, self.texts["doc_id"] == F.col("id"), "left_semi").dropDuplicates(["doc_id"])
+            self.parts.append(stage(own.select("doc_id", set_bytes(F.col("text"), self.p.words).alias("shingles")), "near-sets"))
+        return self._all()
+
+    def _all(self) -> DataFrame | None:
+        out = None
+        for part in self.parts:
+            out = part if out is None else out.unionByName(part)
+        return out
+
+    def drop(self) -> None:
+        drop_staged(*self.parts)
+
+    def confirm(self, pairs: DataFrame) -> DataFrame:
+        """The pairs (a, b) whose full sets reach the similarity. `pairs` should be staged."""
+        bound_batches(pairs.sparkSession, 500)
+        sets = self.sets(pairs.select(F.col("a").alias("id")).union(pairs.select(F.col("b").alias("id"))).distinct())
+        left, right = sets.select(F.col("doc_id").alias("a"), F.col("shingles").alias("set_a")), sets.select(F.col("doc_id").alias("b"), F.col("shingles").alias("set_b"))
+        size = lambda c: (F.octet_length(c) / 8).cast("long")
+        both = pairs.join(right, "b").join(left, "a").select("a", "b", size("set_a").alias("size_a"), size("set_b").alias("size_b"), overlap(F.col("set_a"), F.col("set_b")).alias("common"))
+        return stage(both.where(F.col("common") * 100 >= (F.col("size_a") + F.col("size_b") - F.col("common")) * self.p.percent).select("a", "b"), "near-links")
+
+
+def pack_family(pdf: pd.DataFrame) -> pd.DataFrame:
+    """One block of a family as a row of packed columns."""
+    pdf = pdf.sort_values("id")
+    rows = lambda c: np.stack([np.asarray(x, dtype=np.int64) for x in pdf[c]]).tobytes()
+    ints = lambda c: pdf[c].to_numpy(dtype=np.int64).tobytes()
+    return pd.DataFrame({"family": [int(pdf["family"].iloc[0])], "chunk": [int(pdf["chunk"].iloc[0])], "ids": [ints("id")], "parts": [ints("part")], "sizes": [ints("n")], "bands": [rows("bands")], "bits": [rows("bits")], "sets": [b"".join(pdf["shingles"])]})
+
+
+class Block:
+    def __init__(self, row, side: str, p: NearDup):
+        get = lambda c: np.frombuffer(getattr(row, f"{c}_{side}"), dtype=np.int64)
+        self.ids, self.parts, self.sizes = get("ids"), get("parts"), get("sizes")
+        self.bands, self.bits = get("bands").reshape(len(self.ids), p.bands), get("bits").reshape(len(self.ids), -1)
+        self.sets, self.ends = get("sets").view(np.uint64), np.cumsum(self.sizes)
+
+    def shingles(self, i: int) -> np.ndarray:
+        return self.sets[self.ends[i] - self.sizes[i] : self.ends[i]]
+
+
+def block_links(x: Block, y: Block, same: bool, p: NearDup) -> list[tuple[int, int]]:
+    """The links between two blocks, across components. Sizes, sketches and shared bands are compared for whole
+    rows at once; what is left is counted on the full sets."""
+    out = []
+    for i in range(len(x.ids)):
+        n, m = x.sizes[i], y.sizes
+        at = (y.parts != x.parts[i]) & (np.minimum(n, m) * 100 >= np.maximum(n, m) * p.percent)
+        if same:
+            at[: i + 1] = False
+        at = np.flatnonzero(at)
+        at = at[np.bitwise_count(y.bits[at] ^ x.bits[i]).sum(axis=1) <= MOST_BITS]
+        at = at[(y.bands[at] == x.bands[i]).any(axis=1)]
+        if not len(at):
+            continue
+        own, joined = x.shingles(i), np.concatenate([y.shingles(j) for j in at])
+        place = np.minimum(np.searchsorted(own, joined), len(own) - 1)
+        common = np.add.reduceat((own[place] == joined).astype(np.int64), np.cumsum(m[at]) - m[at])
+        for j in at[common * 100 >= (n + m[at] - common) * p.percent]:
+            out.append((int(min(x.ids[i], y.ids[j])), int(max(x.ids[i], y.ids[j]))))
+    return out
+
+
+def links_across(member: DataFrame, classes: DataFrame, parts: DataFrame, store: SetStore, p: NearDup) -> DataFrame:
+    """Links (a, b) between classes that share a bucket and lie in different components."""
+    placed = member.where("members > 2").join(parts, "id", "left").select("bucket", "id", F.coalesce("component", "id").alias("part"))
+    mixed = stage(placed.groupBy("bucket").agg(F.min("part").alias("lo"), F.max("part").alias("hi"), F.min("id").alias("first")).where("lo <> hi").select("bucket", "first"), "near-mixed")
+    left = stage(placed.join(mixed, "bucket").select("id", "part", "first").distinct(), "near-open")
+    families = stage(connected_components(left.where("id <> first").select(F.col("id").alias("a"), F.col("first").alias("b"))).withColumnRenamed("component", "family"), "near-families")
+    chunks = stage(families.groupBy("family").agg(F.ceil(F.count("*") / BLOCK_CLASSES).alias("chunks")), "near-chunks")
+    sets = store.sets(left.select("id").distinct()).select(F.col("doc_id").alias("id"), "shingles")
+    rows = left.select("id", "part").distinct().join(families, "id").join(chunks, "family").withColumn("chunk", F.pmod(F.xxhash64("id"), "chunks"))
+    rows = rows.join(classes.select("id", "n", "bands", "bits"), "id").join(sets, "id").select("family", "chunk", "id", "part", "n", "bands", "bits", "shingles")
+    packed = "family long, chunk long, ids binary, parts binary, sizes binary, bands binary, bits binary, sets binary"
+    blocks = stage(rows.groupBy("family", "chunk").applyInPandas(pack_family, packed), "near-blocks")
+    side = lambda k: blocks.select("family", *[F.col(c).alias(f"{c}_{k}") for c in blocks.columns if c != "family"])
+
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for pdf in batches:
+            found = []
+            for row in pdf.itertuples(index=False):
+                found += block_links(Block(row, "a", p), Block(row, "b", p), row.chunk_a == row.chunk_b, p)
+            yield pd.DataFrame(found, columns=["a", "b"], dtype="int64")
+
+    bound_batches(member.sparkSession, 4)
+    paired = side("a").join(side("b"), "family").where("chunk_a <= chunk_b")
+    return stage(paired.mapInPandas(run, "a long, b long"), "near-more-links")
 
 
 def near_duplicates(docs: DataFrame, p: NearDup = NearDup()) -> DataFrame:
     """(doc_id, n_shingles, component_id, kept), one row for each row of `docs` (columns doc_id, text)."""
-    spark = docs.sparkSession
-    bound_batches(spark)
+    bound_batches(docs.sparkSession)
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
     sketched = stage(sketch_documents(texts, p), "near-sketches")
     usable = sketched.where(F.col("doc_id").isNotNull() & (F.col("n_shingles") > 0))
     classes = stage(usable.groupBy("digest").agg(F.min(F.struct("doc_id", "n_shingles", "bands", "bits")).alias("c")).select("digest", F.col("c.doc_id").alias("id"), F.col("c.n_shingles").alias("n"), "c.bands", "c.bits"), "near-classes")
     banded = classes.select("id", "n", F.explode("bands").alias("bucket"))
-    shared = stage(banded.groupBy("bucket").agg(F.min(F.struct("id", "n")).alias("c"), F.count("*").alias("members")).where("members > 1").select("bucket", F.col("c.id").alias("centre"), F.col("c.n").alias("centre_n"), "members"), "near-buckets")
+    shared = stage(banded.groupBy("bucket").agg(F.count("*").alias("members")).where("members > 1"), "near-buckets")
     member = stage(banded.join(shared, "bucket"), "near-members")
+    # how many others a class meets: the text that copies were made from meets more than they meet each other
+    met = stage(member.groupBy("id").agg(F.sum("members").alias("met")), "near-met")
+    member = stage(member.join(met, "id"), "near-members-met")
     sized = lambda a, b: F.least(a, b) * 100 >= F.greatest(a, b) * p.percent
-    stars = stage(member.where((F.col("id") != F.col("centre")) & sized(F.col("n"), F.col("centre_n"))).select(F.col("centre").alias("a"), F.col("id").alias("b")).distinct(), "near-stars")
     bits = lambda k: classes.select(F.col("id").alias(k), F.col("bits").alias(f"bits_{k}"))
-    near = stars.join(bits("b"), "b").join(bits("a"), "a").where(bits_apart(F.col("bits_a"), F.col("bits_b")) <= MOST_BITS).select("a", "b")
-    links = confirm(stage(near, "near-pairs"), texts, p)
-    parts = stage(connected_components(links), "near-parts")
-    # pairs across components that share a bucket of three or more: all but those already tested
-    placed = member.where("members > 2").join(parts, "id", "left").select("bucket", "id", "n", F.coalesce("component", "id").alias("part"))
-    mixed = stage(placed.groupBy("bucket").agg(F.min("part").alias("lo"), F.max("part").alias("hi")).where("lo <> hi").select("bucket"), "near-mixed")
-    left = stage(placed.join(mixed, "bucket").join(classes.select("id", "bits"), "id"), "near-rest")
-    side = lambda k: left.select("bucket", F.col("id").alias(k), *[F.col(c).alias(f"{c}_{k}") for c in ("n", "part", "bits")])
-    alike = bits_apart(F.col("bits_a"), F.col("bits_b")) <= MOST_BITS
-    rest = side("a").join(side("b"), "bucket").where((F.col("a") < F.col("b")) & (F.col("part_a") != F.col("part_b")) & sized(F.col("n_a"), F.col("n_b")) & alike).select("a", "b").distinct().join(stars, ["a", "b"], "left_anti")
-    rest = stage(rest, "near-rest-pairs")
-    if not rest.isEmpty():
-        more = confirm(rest, texts, p)
-        if not more.isEmpty():
-            parts = stage(connected_components(links.union(more)), "near-parts")
+    store, links, tested, used, parts = SetStore(texts, p), None, None, None, None
+    for turn in range(CENTRE_ROUNDS):
+        now = member if parts is None else member.where("members > 2").join(parts, "id", "left")
+        now = now.withColumn("part", F.col("id") if parts is None else F.coalesce("component", "id"))
+        if parts is not None:
+            mixed = stage(now.groupBy("bucket").agg(F.min("part").alias("lo"), F.max("part").alias("hi")).where("lo <> hi").select("bucket"), "near-mixed")
+            now = stage(now.join(mixed, "bucket").select("bucket", "id", "n", "met", "part"), "near-open")
+        free = now if used is None else now.join(used, ["bucket", "id"], "left_anti")
+        centres = stage(free.groupBy("bucket").agg(F.max(F.struct("met", (-F.col("id")).alias("neg"), "n", "part")).alias("c")).select("bucket", (-F.col("c.neg")).alias("centre"), F.col("c.n").alias("centre_n"), F.col("c.part").alias("centre_part")), "near-centres")
+        spokes = now.join(centres, "bucket").where((F.col("part") != F.col("centre_part")) & sized(F.col("n"), F.col("centre_n")))
+        pairs = spokes.select(F.least("id", "centre").alias("a"), F.greatest("id", "centre").alias("b")).distinct()
+        pairs = stage(pairs if tested is None else pairs.join(tested, ["a", "b"], "left_anti"), "near-spokes")
+        tested = pairs if tested is None else tested.unionByName(pairs)
+        mine = centres.select("bucket", F.col("centre").alias("id"))
+        used = mine if used is None else used.unionByName(mine)
+        near = stage(pairs.join(bits("b"), "b").join(bits("a"), "a").where(bits_apart(F.col("bits_a"), F.col("bits_b")) <= MOST_BITS).select("a", "b"), "near-pairs")
+        if turn and near.isEmpty():
+            break
+        sure = store.confirm(near)
+        if turn and sure.isEmpty():
+            continue
+        links = sure if links is None else links.unionByName(sure)
+        parts = stage(connected_components(links), "near-parts")
+    more = links_across(member, classes, parts, store, p)
+    if not more.isEmpty():
+        parts = stage(connected_components(links.unionByName(more)), "near-parts")
     named = stage(classes.select("digest", "id").join(parts, "id", "left").select("digest", F.coalesce("component", "id").alias("component_id")), "near-named-classes")
-    drop_staged(member, shared)
+    store.drop()
+    drop_staged(member)
     none = sketched.where(F.col("doc_id").isNull() | (F.col("n_shingles") == 0)).select("doc_id", "n_shingles", F.col("doc_id").alias("component_id"))
     out = usable.select("doc_id", "n_shingles", "digest").join(named, "digest").select("doc_id", "n_shingles", "component_id").union(none)
     return out.withColumn("kept", F.col("doc_id").eqNullSafe(F.col("component_id")))

@@ -1,0 +1,191 @@
+"""BPE, secret scans, line quality, licenses: against plain references, with the odd cases."""
+
+import itertools
+import random
+import re
+from collections import Counter
+
+import numpy as np
+import pytest
+from pyspark.sql import functions as F
+
+from fieldpack.llm import bpe, licenses, line_quality, registry, secrets
+
+ODD = [(0, None), (1, ""), (2, " \n\t "), (3, "one"), (4, "a b c " * 40), (5, "x" * 70_000), (6, "tie"), (6, "tie"), (None, "no id")]
+
+
+@pytest.fixture(scope="module")
+def odd(spark):
+    return spark.createDataFrame([(i, t, "clash", 1.0, True) for i, t in ODD], "doc_id long, text string, score string, kept double, spans boolean")
+
+
+@pytest.mark.parametrize("name", [n for n in registry.ORACLES if n != "op9_near_dedup"])
+def test_query_equals_its_twin(name, spark, sf_dir, duck, same):
+    same(registry.QUERIES[name](spark, sf_dir), duck.sql(registry.ORACLES[name]))
+
+
+@pytest.fixture(scope="module")
+def codec():
+    path, pattern = bpe.default_files()
+    return bpe.ByteBpe(bpe.load_ranks(path), pattern), pattern, path
+
+
+def test_chunks_are_stitched_exactly(codec):
+    c = codec[0]
+    rng = random.Random(1)
+    parts = ["'s", "'re", "'", "r", "e", " ", "  ", "\n", "\t", "a", "é", "1", "...", " b", "'l", "l", "中", " ", "\U0001f600"]
+    for _ in range(800):
+        s = "".join(rng.choice(parts) for _ in range(rng.randint(0, 120)))
+        for chunk, overlap in ((8, 4), (20, 10), (32, 5)):
+            assert bpe.chunk_pieces(s, c.find, chunk, overlap) == c.find.findall(s)
+
+
+def test_bpe_equals_the_library(codec, spark, sf_dir):
+    import tiktoken
+
+    c, pattern, path = codec
+    library = tiktoken.Encoding("own", pat_str=pattern, mergeable_ranks=bpe.load_ranks(path), special_tokens={})
+    small = bpe.ByteBpe(bpe.load_ranks(path), pattern, 64, 16)
+    for r in spark.read.parquet(f"{sf_dir}/documents.parquet").limit(40).collect():
+        want = np.asarray(library.encode_ordinary(r["text"]), dtype="<u4").tobytes()
+        assert c.encode(r["text"]) == want == small.encode(r["text"])
+        assert c.decode(want) == r["text"].encode()
+
+
+def test_bpe_on_odd_rows(odd):
+    path, pattern = bpe.default_files()
+    got = bpe.encode_documents(odd, path, pattern).select("doc_id", "n_tokens", bpe.decoded_bytes(F.col("token_ids"), path, pattern).alias("b")).collect()
+    assert sorted(bytes(r["b"]) for r in got) == sorted((t or "").encode() for _, t in ODD)
+
+
+def naive_stretch(s, cls):
+    hot = [i for i in range(len(s) - cls.window + 1) if sum(cls.weight(c) for c in Counter(s[i : i + cls.window]).values()) <= cls.most]
+    return (hot[0], hot[-1] + cls.window) if hot else None
+
+
+def test_entropy_counts_slide_exactly(spark):
+    rng = random.Random(2)
+    for cls in secrets.CLASSES:
+        rows = ["".join(rng.choice(cls.symbols[: rng.choice((2, 6, len(cls.symbols)))]) for _ in range(rng.randint(cls.window, 70))) for _ in range(60)]
+        df = spark.createDataFrame([(s,) for s in rows], "s string").select("s", secrets.entropy_stretch(F.col("s"), cls).alias("e"))
+        for r in df.collect():
+            want = naive_stretch(r["s"], cls)
+            assert (r["e"]["first"], r["e"]["last"]) == (want or (None, None))
+
+
+def test_secrets_are_found_and_cut(spark):
+    key = "AKIA" + "Q7Z2" * 4
+    text = f"é password = 'hunter22x' and {key} then 0123456789abcdef0123456789 end"
+    df = spark.createDataFrame([(1, text), (2, None), (3, "token: ab secret=token: abcdefgh")], "doc_id long, text string")
+    got = {r["doc_id"]: r for r in secrets.find_secrets(df).withColumn("cut", secrets.redact(F.col("text"), F.col("secret_all"))).collect()}
+    spans = [(text[s["start"] : s["end"]], s["rank"]) for s in got[1]["secret_base"]]
+    assert ("password = 'hunter22x", 0) in spans and (key, 1) in spans and ("0123456789abcdef0123456789", 2) in spans
+    assert "hunter22x" not in got[1]["cut"] and key not in got[1]["cut"] and got[1]["cut"].startswith("é [SECRET]' and [SECRET]")
+    assert got[2]["secret_all"] == [] and got[2]["cut"] is None
+    assert got[3]["secret_base"] == []  # both values are too short where the pattern stands; the scan goes on after them
+
+
+def test_allow_list(spark):
+    df = spark.createDataFrame([(1, "id EXAMPLEa8f3K2m9Qz7Lp4Wx1Vn6 x"), (2, "id a8f3K2m9Qz7Lp4Wx1Vn6Rt5Y x")], "doc_id long, text string")
+    got = {r["doc_id"]: len(r["secret_all"]) for r in secrets.find_secrets(df).collect()}
+    assert got == {1: 0, 2: 1}
+
+
+WORD = re.compile(r"[^\x20\x09-\x0D]+")
+
+
+def naive_counts(t):
+    words = WORD.findall(t)
+    windows = Counter(tuple(words[i : i + 3]) for i in range(len(words) - 2))
+    marked = {j for i in range(len(words) - 2) if windows[tuple(words[i : i + 3])] > 1 for j in (i, i + 1, i + 2)}
+    seen, dup = set(), 0
+    for line in t.split("\n"):
+        dup += bool(WORD.search(line)) and line in seen
+        seen.add(line)
+    return len(words), sum(map(len, words)), len(re.findall(r"[#*$%&|<>]", t)), dup, len(marked)
+
+
+def test_line_counts(spark, sf_dir):
+    texts = [r["text"] for r in spark.read.parquet(f"{sf_dir}/documents.parquet").limit(60).collect()] + ["", "a", "a b\na b\n\n\na b", "x y z x y z", " é|é"]
+    for t, got in zip(texts, line_quality.judge(texts, line_quality.PRIOR)):
+        assert got[:5] == naive_counts(t)
+        assert got[5] == (got[0] < 50 or 100 * got[4] > 50 * got[0])
+        assert len(got[8]) == t.count("\n") + 1
+
+
+def test_viterbi_is_the_best_path():
+    rng = np.random.default_rng(3)
+    for n in (1, 2, 5, 7):
+        e, trans = rng.normal(size=n) * 2, rng.normal(size=(2, 2))
+        score = lambda p: sum(e[i] for i in range(n) if p[i]) + sum(trans[a][b] for a, b in zip(p, p[1:]))  # noqa: E731, B023
+        assert np.isclose(score(line_quality.viterbi(e, trans.tolist())), max(map(score, itertools.product((0, 1), repeat=n))))
+
+
+def test_chain_gradient():
+    rng = np.random.default_rng(4)
+    e, y, mask, trans = rng.normal(size=(3, 5)), (rng.random((3, 5)) < 0.5).astype(float), np.ones((3, 5), bool), rng.normal(size=(2, 2))
+    mask[1, 3:] = False
+    y[1, 3:] = e[1, 3:] = 0
+    _, g_e, g_t = line_quality.chain_gradient(e, y, mask, trans)
+    for i in ((0, 0), (1, 2), (2, 4)):
+        d = np.zeros_like(e)
+        d[i] = 1e-6
+        num = (line_quality.chain_gradient(e + d, y, mask, trans)[0] - line_quality.chain_gradient(e - d, y, mask, trans)[0]) / 2e-6
+        assert abs(num - g_e[i]) < 1e-5
+    for i in ((0, 1), (1, 1)):
+        d = np.zeros((2, 2))
+        d[i] = 1e-6
+        num = (line_quality.chain_gradient(e, y, mask, trans + d)[0] - line_quality.chain_gradient(e, y, mask, trans - d)[0]) / 2e-6
+        assert abs(num - g_t[i]) < 1e-5
+
+
+def test_line_quality_on_odd_rows(odd):
+    got = {r["doc_id"]: r["quality_verdict"] for r in line_quality.judge_documents(odd, line_quality.PRIOR).collect()}
+    assert all(got[i]["base_failed"] and not got[i]["kept"] for i in (0, 1, 2, 3)) and got[4]["n_repeat_words"] == 120
+    assert line_quality.train_chain([], []) == line_quality.PRIOR
+
+
+def test_line_quality_learns(spark, sf_dir):
+    from fieldpack.llm.common import read_table
+
+    docs = read_table(spark, sf_dir, "documents", "doc_id", "text")
+    model = line_quality.fit(docs, read_table(spark, sf_dir, "labels"))
+    j = line_quality.judge_documents(docs, model).join(read_table(spark, sf_dir, "labels"), "doc_id").where("NOT quality_verdict.base_failed")
+    right = j.agg(F.avg((F.col("quality_verdict.kept").cast("int") == F.col("quality")).cast("int"))).first()[0]
+    assert right > 0.95
+
+
+def naive_matches(text, threshold):
+    lines = [licenses.words_of(x) for x in text.split("\n")]
+    out = []
+    for name, t in licenses.TEMPLATES:
+        b = licenses.bigrams_of(licenses.words_of(t))
+        for i in range(len(lines)):
+            for j in range(i, min(len(lines), i + 8)):
+                s = licenses.dice(licenses.bigrams_of([w for x in lines[i : j + 1] for w in x]), b)
+                if s >= threshold:
+                    out.append((s, name, i, j))
+    return out
+
+
+def test_licenses_against_all_runs(spark, sf_dir):
+    rng = random.Random(5)
+    texts = [r["text"] for r in spark.read.parquet(f"{sf_dir}/documents.parquet").limit(25).collect()]
+    for _, t in licenses.TEMPLATES:
+        words = t.split(" ")
+        for cut in (0, 7):
+            lines = [" ".join(words[i : i + (cut or len(words))]) for i in range(0, len(words), cut or len(words))]
+            noise = [w for w in " ".join(lines[:1]).split(" ") if rng.random() > 0.05]
+            texts.append("intro words\n" + "\n".join([" ".join(noise), *lines[1:]][:8]) + "\nthe end")
+    s = licenses.Scanner()
+    for t in texts:
+        want, got = naive_matches(t, s.threshold), s.matches(t)
+        assert bool(want) == bool(got)
+        if want:
+            assert np.isclose(got[0].score, max(want)[0])
+    assert s.matches(None) == s.matches("") == []
+
+
+def test_licenses_on_odd_rows(odd):
+    got = odd.select("doc_id", licenses.license_matches(F.col("text")).alias("m")).select("m.n_matches").collect()
+    assert [r[0] for r in got] == [0] * len(ODD)
