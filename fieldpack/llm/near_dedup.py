@@ -37,7 +37,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import bound_batches, drop_staged, read_table, stage
+from .common import bound_batches, drop_staged, read_table, small_batches, stage
 from .components import connected_components
 
 _U = np.uint64
@@ -283,9 +283,9 @@ def links_across(member: DataFrame, classes: DataFrame, parts: DataFrame, store:
                 found += block_links(Block(row, "a", p), Block(row, "b", p), row.chunk_a == row.chunk_b, p)
             yield pd.DataFrame(found, columns=["a", "b"], dtype="int64")
 
-    bound_batches(member.sparkSession, 4)
     paired = side("a").join(side("b"), "family").where("chunk_a <= chunk_b")
-    return stage(paired.mapInPandas(run, "a long, b long"), "near-more-links")
+    with small_batches(member.sparkSession, 4):
+        return stage(paired.mapInPandas(run, "a long, b long"), "near-more-links")
 
 
 def near_duplicates(docs: DataFrame, p: NearDup = NearDup()) -> DataFrame:

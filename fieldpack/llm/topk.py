@@ -24,7 +24,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import bound_batches, read_table, stage
+from .common import bound_batches, read_table, small_batches, stage
 
 BLOCK_ROWS, QUERY_ROWS, DIMS = 4096, 256, 16
 EXACT = float(1 << 53)
@@ -133,7 +133,6 @@ def top_k(vectors: DataFrame, is_query, k: int = 10) -> DataFrame:
     bound_batches(spark)
     candidates = stage(pack_blocks(rows, BLOCK_ROWS), "topk-candidates")
     queries = stage(pack_blocks(rows.where(is_query(F.col("id"))).dropDuplicates(["id", "key"]), QUERY_ROWS), "topk-queries")
-    bound_batches(spark, 4)
     q = queries.select(*[F.col(c).alias(f"q_{c}") for c in queries.columns])
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
@@ -151,7 +150,8 @@ def top_k(vectors: DataFrame, is_query, k: int = 10) -> DataFrame:
                 if len(best.ids[i]):
                     yield pd.DataFrame({"query_id": q_ids[i], "query_key": q_keys[i], "vec_id": best.ids[i], "score": [int(x) for x in best.scores[i]]})
 
-    found = candidates.crossJoin(q).mapInPandas(run, "query_id long, query_key long, vec_id long, score long")
+    with small_batches(spark, 4):
+        found = stage(candidates.crossJoin(q).mapInPandas(run, "query_id long, query_key long, vec_id long, score long"), "topk-found")
     order = Window.partitionBy("query_id", "query_key").orderBy(F.desc("score"), "vec_id")
     return found.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
 

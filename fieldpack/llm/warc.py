@@ -28,7 +28,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import bound_batches, read_table, stage
+from .common import bound_batches, read_table, small_batches, stage
 
 CRLF = b"\r\n"
 #: The header line fields of the two ARC versions, as their version blocks declare them.
@@ -225,8 +225,9 @@ def read_archives(archives: DataFrame) -> DataFrame:
 
 def op5_arc_to_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
     archives = stage(write_archives(read_table(spark, sf_dir, "pages", "page_id", "url", "html")), "warc-archives")
-    bound_batches(spark, 8)
-    return read_archives(archives).select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to")
+    with small_batches(spark, 8):
+        rows = stage(read_archives(archives), "warc-rows")
+    return rows.select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to")
 
 
 OP5_SQL = """
