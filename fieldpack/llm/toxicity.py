@@ -104,11 +104,11 @@ def count_tables(docs: list[list[str]], toxic: list[int]) -> Tables:
 
 
 def without_copies(docs: list[list[str]], bands: int = 6) -> list[int]:
-    """Positions of the documents whose words are not those of an earlier one: copies would make any word of theirs look common."""
+    """Positions of the documents whose word pairs are not those of an earlier one: copies would make any word of theirs look common."""
     seen: set[tuple] = set()
     keep = []
     for i, words in enumerate(docs):
-        h = np.fromiter((xxhash.xxh32_intdigest(w) for w in set(words)), dtype=np.uint64)
+        h = np.fromiter((xxhash.xxh32_intdigest(f"{a} {b}") for a, b in set(zip(words, words[1:]))), dtype=np.uint64)
         marks = {(b, *(int(np.min((h * np.uint64(2654435761 + 2 * (2 * b + r)) + np.uint64(97 * b + r)) & np.uint64(0xFFFFFFFF))) for r in (0, 1))) for b in range(bands)} if len(h) else set()
         if not marks & seen:
             keep.append(i)
