@@ -6,11 +6,11 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from .plans import compress_queries, field_queries, function_queries, relational_queries
+from .plans import compress_queries, field_queries, function_queries, relational_queries, workloads
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 ORACLES: dict[str, str] = {}
-for _part in (field_queries, compress_queries, relational_queries, function_queries):
+for _part in (field_queries, compress_queries, relational_queries, function_queries, workloads):
     QUERIES |= _part.QUERIES
     ORACLES |= _part.ORACLES
 
