@@ -186,6 +186,25 @@ def test_licenses_against_all_runs(spark, sf_dir):
     assert s.matches(None) == s.matches("") == []
 
 
+def test_licenses_inside_lines():
+    mit = next(t for n, t in licenses.TEMPLATES if n == "MIT" and len(t) > 200)
+    s = licenses.Scanner()
+    names = lambda text: sorted(m.name for m in s.matches(text))
+    warranty = "The Software is provided as is, without warranty of any kind, express or implied, including but not limited to the warranties of merchantability, fitness for a particular purpose and noninfringement. " * 2
+    assert names(f"MIT License Copyright (c) 2020 Jane Doe {mit} {warranty}") == ["MIT"]
+    assert names("word " * 500 + mit + " word" * 500) == ["MIT"]
+    assert names("Copyright 2020 Jane Doe. Released under the MIT License.") == ["MIT"]
+    assert names("The code on this page is licensed under CC BY-NC 4.0.") == ["CC-BY-NC-4.0"]
+    assert names("Licensed under the MIT License.") == names("See there. Licensed under the\nMIT License. Next words.") == ["MIT"]
+    assert names("Text is licensed under CC BY 4.0. Code is released under the MIT License. Thank you all.") == ["CC-BY-4.0", "MIT"]
+    assert names("This project is licensed under the Common Foo License.") == names("under the license of the work") == []
+    found, first, last = s.placed("a b\n\nc d Released under\nthe MIT License. e f")[0]
+    assert (found.score, found.first, found.last, first, last) == (1.0, 4, 8, 2, 3)
+    assert names((mit + " ") * 300) == ["MIT"] * 300
+    for name, t in licenses.TEMPLATES:
+        assert names(f"some words before {t} some words after") == [name]
+
+
 def test_licenses_on_odd_rows(odd):
     got = odd.select("doc_id", licenses.license_matches(F.col("text")).alias("m")).select("m.n_matches").collect()
     assert [r[0] for r in got] == [0] * len(ODD)
