@@ -204,3 +204,24 @@ def test_empty_and_constant_fields(spark):
     assert G.densify(none, spec, 0.0).count() == spec.voxels
     flat = G.normalize(G.analytic_field(spark, spec, "constant"))
     assert flat.where("v <> 0").isEmpty()
+
+
+def test_registered_workloads_read_their_tables(spark, sf_dir, monkeypatch):
+    from fieldpack.plans import workloads as W
+
+    assert not {"w03", "w17", "w19"} & set(W.QUERIES)  # trained: only with the whole schedule, outside the registry
+    seen = []
+
+    def stop(vox, spec, *a, **b):
+        raise StopIteration
+
+    monkeypatch.setattr(W, "encode", stop)
+    monkeypatch.setattr(W, "global_encode", stop)
+    monkeypatch.setattr(W, "field", lambda s, d, preset, name="f0": seen.append((preset.name, name)) or (None, None))
+    for name in ("w03", "w17", "w19"):
+        with pytest.raises(StopIteration):
+            W.WORKLOADS[name](spark, sf_dir)
+    assert seen == [("published", "f9"), ("published", "f0"), ("published", "f1")]
+    monkeypatch.undo()
+    rows = {(r["workload"], r["metric"]): r["value"] for r in W.QUERIES["w20"](spark, sf_dir).collect()}
+    assert {w for w, _ in rows} == {"w20-f9", "w20-f10"} and all(v > 0 for v in rows.values())
