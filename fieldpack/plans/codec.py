@@ -90,8 +90,12 @@ class Archive:
         return sum(sum(p.sizes.values()) for p in self.parts) + self.header_bytes + (self.seam.bytes if self.seam else 0)
 
 
+#: So many distances are filled in one task; beyond that the same assignment is made in rounds of proposals.
+MOST_FILLED = 50_000_000
+
+
 def assign_blocks(blocks: DataFrame, b: int, cfg: CodecConfig, size: int) -> DataFrame:
-    """block_id, net_id by the configured scheme."""
+    """block_id, net_id by the configured scheme, which is the same at every size; shards only where they are asked for."""
     if cfg.scheme == "single":
         return A.assign_single(blocks)
     if cfg.scheme == "order":
@@ -100,15 +104,18 @@ def assign_blocks(blocks: DataFrame, b: int, cfg: CodecConfig, size: int) -> Dat
         return A.uniformize_sharded(blocks, size, b).select("block_id", "net_id")
     n = blocks.count()
     k = A.net_count(n, b)
-    if k * max(n, 1) > 50_000_000 or k * size > A.MOST_CENTROID_VALUES:
-        return A.uniformize_sharded(blocks, size, b).select("block_id", "net_id")
     if k <= 1:
         return blocks.select("block_id", F.lit(0).alias("net_id"))
+    if k * size > A.MOST_CENTROID_VALUES:
+        raise ValueError(f"too many centroids to send to workers for scheme '{cfg.scheme}': ask for 'sharded'")
     centers, _ = A.kmeans(blocks, k, cfg.kmeans_steps)
     if cfg.scheme == "kmeans":
         return A.assign_nearest(blocks, centers).select("block_id", "net_id")
     table = blocks.sparkSession.createDataFrame([(i, [float(x) for x in c]) for i, c in enumerate(centers)], "net_id int, center array<double>")
-    return A.uniformize(A.distances(blocks, table)).select("block_id", "net_id")
+    dist = A.distances(blocks, table)
+    if k * n > MOST_FILLED:
+        return A.uniformize_rounds(keep(dist, "uniform-distances"), most_rounds=k * n).select("block_id", "net_id")
+    return A.uniformize(dist).select("block_id", "net_id")
 
 
 def _finetune(blocks: DataFrame, nets: DataFrame, codes: DataFrame, coded: DataFrame, books: DataFrame, by: list[str], spec: FieldSpec, net: NetSpec, epochs: int, rate: float, scale: int, loss: str) -> DataFrame:

@@ -225,3 +225,17 @@ def test_registered_workloads_read_their_tables(spark, sf_dir, monkeypatch):
     monkeypatch.undo()
     rows = {(r["workload"], r["metric"]): r["value"] for r in W.QUERIES["w20"](spark, sf_dir).collect()}
     assert {w for w, _ in rows} == {"w20-f9", "w20-f10"} and all(v > 0 for v in rows.values())
+
+
+def test_assignment_is_the_same_at_every_size(spark, monkeypatch):
+    x = np.random.default_rng(8).normal(size=(26, 4))
+    blocks = spark.createDataFrame([(i, [float(v) for v in row]) for i, row in enumerate(x)], "block_id long, values array<double>")
+    got = lambda scheme: {r["block_id"]: r["net_id"] for r in C.assign_blocks(blocks, 4, C.CodecConfig(scheme=scheme, kmeans_steps=2), 4).collect()}
+    want = {s: got(s) for s in ("uniform", "kmeans")}
+    monkeypatch.setattr(C, "MOST_FILLED", 0, raising=False)
+    monkeypatch.setattr(assign, "uniformize_sharded", lambda *a, **b: pytest.fail("shards were not asked for"))
+    assert {s: got(s) for s in want} == want
+    monkeypatch.setattr(assign, "MOST_CENTROID_VALUES", 0)
+    for s in want:
+        with pytest.raises(ValueError, match="sharded"):
+            got(s)
