@@ -2,8 +2,9 @@
 
 Three fixed patterns give base spans. Over candidate strings of a character class, a window slides:
 its symbol counts change by one symbol out and one in, and the sum of c*log2(c) with them, so the
-window's Shannon entropy costs the same at every step. The stretch from the first to the last window
-over the class's threshold becomes a span, unless the candidate is on the allow-list.
+window's Shannon entropy costs the same at every step. Every candidate is scored. Windows that overlap
+or adjoin a word of the allow-list don't count, the candidate's other windows do; the stretch from the
+first to the last window over the class's threshold becomes a span.
 
 Sums are integers (millionths of a bit), so every engine gets the same spans.
 
@@ -33,7 +34,7 @@ ASSIGN_VALUE = 6
 ACCESS = "AKIA[A-Z0-9]{16,}"
 HEX = "[0-9a-f]{24,}"
 KINDS = ["assign", "access", "hex", "entropy"]
-#: Candidates that are known to be harmless.
+#: Words that mark the windows around them as harmless.
 ALLOWED = "(?:" + "|".join(_either_case(w) for w in ("example", "sample", "dummy", "placeholder", "changeme", "deadbeef", "0123456789", "1234567890", "abcdefghij")) + ")"
 UNIT = 1_000_000
 
@@ -96,21 +97,20 @@ def entropy_stretch(candidate: Column, cls: CharClass) -> Column:
         more = F.when(~same, F.get(weights, of(came) + 1) - F.get(weights, of(came))).otherwise(F.lit(0).cast("long"))
         total = acc["total"] + less + more
         counts = F.transform(acc["counts"], lambda c, k: c + F.when(k + 1 == came, 1).otherwise(0) - F.when(k + 1 == went, 1).otherwise(0))
-        hot = (i >= w) & (total <= cls.most)
+        hot = (i >= w) & (total <= cls.most) & ~F.exists(acc["allowed"], lambda x: (x["start"] <= i) & (x["end"] >= i - w))
         return F.struct(
             F.when(same, acc["counts"]).otherwise(counts).alias("counts"), total.alias("total"),
-            F.when(hot & acc["first"].isNull(), i - w).otherwise(acc["first"]).alias("first"), F.when(hot, i).otherwise(acc["last"]).alias("last"),
+            F.when(hot & acc["first"].isNull(), i - w).otherwise(acc["first"]).alias("first"), F.when(hot, i).otherwise(acc["last"]).alias("last"), acc["allowed"].alias("allowed"),
         )
 
     none = F.lit(None).cast("int")
-    start = F.struct(F.array_repeat(F.lit(0), len(cls.symbols)).alias("counts"), F.lit(0).cast("long").alias("total"), none.alias("first"), none.alias("last"))
+    start = F.struct(F.array_repeat(F.lit(0), len(cls.symbols)).alias("counts"), F.lit(0).cast("long").alias("total"), none.alias("first"), none.alias("last"), match_spans(candidate, ALLOWED).alias("allowed"))
     return F.aggregate(F.sequence(F.lit(1), F.length(candidate)), start, step, lambda acc: F.struct(acc["first"].alias("first"), acc["last"].alias("last")))
 
 
 def entropy_spans(text: Column, cls: CharClass) -> Column:
     """Spans of the class: array<struct<start,end>>."""
-    likely = F.filter(match_spans(text, cls.pattern), lambda x: x["hit"].rlike("[0-9]") & x["hit"].rlike("[A-Za-z]") & ~x["hit"].rlike(ALLOWED))
-    placed = F.transform(likely, lambda x: F.struct(x["start"].alias("base"), entropy_stretch(x["hit"], cls).alias("in")))
+    placed = F.transform(match_spans(text, cls.pattern), lambda x: F.struct(x["start"].alias("base"), entropy_stretch(x["hit"], cls).alias("in")))
     hot = F.filter(placed, lambda x: x["in"]["first"].isNotNull())
     return F.transform(hot, lambda x: F.struct((x["base"] + x["in"]["first"]).alias("start"), (x["base"] + x["in"]["last"]).alias("end")))
 
@@ -124,13 +124,6 @@ def _written(spans: Column) -> Column:
     return F.array_join(F.transform(spans, lambda x: F.concat_ws(":", F.get(kind, x["rank"]), x["start"], x["end"])), ",")
 
 
-def _could_hold(cls: CharClass) -> str:
-    """A quick test that a text has a candidate with a digit at all (no text that has one fails it)."""
-    body = cls.pattern[: cls.pattern.rindex("{")]
-    no_digit = body.replace("0-9", "")
-    return f"(?<!{body})(?={no_digit}*+[0-9]){cls.pattern}"
-
-
 def find_secrets(docs: DataFrame, text_col: str = "text", prefix: str = "secret_") -> DataFrame:
     """`docs` with arrays of spans: `<prefix>base` and `<prefix>all`, struct<start,rank,end>, by start and then kind."""
     empty = F.array().cast("array<struct<start:int,rank:int,end:int>>")
@@ -140,7 +133,7 @@ def find_secrets(docs: DataFrame, text_col: str = "text", prefix: str = "secret_
         p("assign"): F.when(text.rlike(f"(?:{NAMES})[\"']?\\x20*[:=]"), _ranked(match_spans(text, ASSIGN, (2, ASSIGN_VALUE)), 0)).otherwise(empty),
         p("access"): F.when(text.contains("AKIA"), _ranked(match_spans(text, ACCESS), 1)).otherwise(empty),
         p("hex"): F.when(text.rlike(HEX), _ranked(match_spans(text, HEX), 2)).otherwise(empty),
-        **{p(f"entropy_{c.name}"): F.when(text.rlike(_could_hold(c)), _ranked(entropy_spans(text, c), 3)).otherwise(empty) for c in CLASSES},
+        **{p(f"entropy_{c.name}"): F.when(text.rlike(c.pattern), _ranked(entropy_spans(text, c), 3)).otherwise(empty) for c in CLASSES},
     })
     df = df.withColumn(p("base"), F.array_sort(F.concat(p("assign"), p("access"), p("hex"))))
     more = F.array_distinct(F.concat(*[F.col(p(f"entropy_{c.name}")) for c in CLASSES]))
