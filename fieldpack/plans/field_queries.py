@@ -421,6 +421,21 @@ def chamfer_small(spark, sf_dir):
     return M.chamfer(pts("purchase", 0.0), pts("error", 0.25), exact_cells=True).select(*[F.round(c, 6).alias(c) for c in ("pq", "qp", "chamfer")])
 
 
+@query("chamfer_events", """WITH p AS (SELECT event_id, CAST(user_id % 16 AS DOUBLE) AS x, CAST(hour(ts) AS DOUBLE) AS y, CAST(event_id % 7 AS DOUBLE) AS z FROM events WHERE event_type = 'purchase'),
+ q AS (SELECT event_id, CAST(user_id % 16 AS DOUBLE) + 0.25 AS x, CAST(hour(ts) AS DOUBLE) AS y, CAST(event_id % 7 AS DOUBLE) AS z FROM events WHERE event_type = 'error'),
+ a AS (SELECT DISTINCT x, y, z FROM p), b AS (SELECT DISTINCT x, y, z FROM q),
+ d AS (SELECT sqrt((a.x - b.x) ** 2 + (a.y - b.y) ** 2 + (a.z - b.z) ** 2) AS d, a.x AS ax, a.y AS ay, a.z AS az, b.x AS bx, b.y AS b_y, b.z AS bz FROM a, b),
+ f AS (SELECT avg(m) AS pq FROM (SELECT min(d) AS m FROM d GROUP BY ax, ay, az)), g AS (SELECT avg(m) AS qp FROM (SELECT min(d) AS m FROM d GROUP BY bx, b_y, bz))
+ SELECT round(pq, 6) AS pq, round(qp, 6) AS qp, round(pq + qp, 6) AS chamfer FROM f, g""")
+def chamfer_events(spark, sf_dir):
+    """As `chamfer_small`, whose SQL fixes a range of ids, over all events."""
+    from ..sources.tables import load
+
+    e = load(spark, sf_dir, "events", "event_id", "user_id", "ts", "event_type")
+    pts = lambda kind, dx: e.where(F.col("event_type") == kind).select(F.lit(0).alias("t"), ((F.col("user_id") % 16).cast("double") + dx).alias("px"), F.hour("ts").cast("double").alias("py"), (F.col("event_id") % 7).cast("double").alias("pz"))
+    return M.chamfer(pts("purchase", 0.0), pts("error", 0.25), exact_cells=True).select(*[F.round(c, 6).alias(c) for c in ("pq", "qp", "chamfer")])
+
+
 RAY = f"""r AS (SELECT t, x AS px, y AS py, u, a, exp(coalesce(sum(ln(1 - a)) OVER (PARTITION BY t, x, y ORDER BY z ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0)) AS through
  FROM (SELECT *, greatest(0.0, least(1.0, (v + 1) / 2)) AS u, 0.2 * greatest(0.0, least(1.0, (v + 1) / 2)) AS a FROM v1)),
  im AS (SELECT t, px, py, sum(through * a * u) AS r, sum(through * a * (1 - abs(2 * u - 1))) AS g, sum(through * a * (1 - u)) AS b FROM r GROUP BY 1, 2, 3)"""

@@ -89,6 +89,14 @@ def op_join_nl(spark, d):
     return s.join(F.broadcast(c), F.col("s") > F.col("c") + 0.5).agg(F.count("*").alias("n"))
 
 
+@query("op_join_nl_labels", "WITH e AS (SELECT label, list_sum(embedding) AS s FROM embeddings), c AS (SELECT label, avg(s) AS s FROM e GROUP BY 1) SELECT count(*) AS n FROM e, c WHERE e.s > c.s + 0.5")
+def op_join_nl_labels(spark, d):
+    """As `op_join_nl`, whose SQL takes ten rows by id, with the labels' centroids: a centroid's sum is the mean of its rows' sums."""
+    s = load(spark, d, "embeddings", "label", "embedding").select("label", F.aggregate("embedding", F.lit(0.0), lambda a, v: a + v).alias("s"))
+    c = s.groupBy("label").agg(F.avg("s").alias("c")).select("c")
+    return s.join(F.broadcast(c), F.col("s") > F.col("c") + 0.5).agg(F.count("*").alias("n"))
+
+
 _BANDS = "b AS (SELECT CAST(i AS INTEGER) AS band, CAST(i * 9000 AS DOUBLE) AS lo, CAST((i + 1) * 9000 AS DOUBLE) AS hi FROM range(0, 12) r(i))"
 
 
