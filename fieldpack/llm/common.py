@@ -3,14 +3,13 @@
 from __future__ import annotations
 
 import atexit
-import gc
 import tempfile
 import uuid
 from collections.abc import Iterator
 from contextlib import contextmanager
 from functools import cache
 
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 #: Python workers get at most this many rows at a time, so that a batch of very long texts stays bounded.
@@ -46,8 +45,15 @@ def _own_folder() -> str:
 
 
 def staging_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share: `spark.checkpoint.dir`; only where it is unset (tests), a temporary one."""
-    return spark.conf.get("spark.checkpoint.dir", None) or _own_folder()
+    """The folder that driver and executors share, `spark.checkpoint.dir`. Where it is unset, a temporary one is right
+    on one machine only (tests); a cluster must name its own."""
+    named = spark.conf.get("spark.checkpoint.dir", None)
+    if named:
+        return named
+    master = spark.conf.get("spark.master", "")
+    if not (master == "local" or master.startswith("local[")):
+        raise RuntimeError("spark.checkpoint.dir must name a folder that driver and executors share")
+    return _own_folder()
 
 
 def _remove(spark: SparkSession, path: str) -> None:
@@ -66,8 +72,6 @@ def stage(df: DataFrame, name: str, partition_by: list[str] | None = None) -> Da
     writer = df.write.option("compression", "zstd")
     (writer.partitionBy(*partition_by) if partition_by else writer).parquet(path)
     atexit.register(_remove, spark, path)
-    gc.collect()
-    spark._jvm.System.gc()  # shuffle files of the plan that is now written can go at once
     return spark.read.schema(df.schema).parquet(path)
 
 
@@ -83,13 +87,21 @@ def crc_split(id_col: Column, modulus: int, remainder: int) -> Column:
     return F.coalesce(F.crc32(F.encode(id_col.cast("string"), "UTF-8")) % modulus == remainder, F.lit(False))
 
 
-def labelled_sample(docs: DataFrame, labels: DataFrame, label: str, held_out: Column, most: int) -> DataFrame:
-    """At most `most` labelled rows that are not held out, as (text, label): those of the smallest
-    hash of the id. The ids are a table of proven size (`most` rows), so they are broadcast."""
+def labelled_sample(docs: DataFrame, labels: DataFrame, label: str, held_out: Column, most: int, most_bytes: int | None = None) -> DataFrame:
+    """At most `most` labelled rows that are not held out, as (doc_id, text, label): those of the smallest hash of
+    the id, and of those as many as have `most_bytes` bytes of text together. Equal rows count once; an id with
+    several texts gives several rows, which the bounds hold too. The ids are at most `most`, so they are broadcast."""
     chosen = (
         labels.filter(~held_out & F.col(label).isNotNull() & F.col("doc_id").isNotNull())
         .select("doc_id", F.col(label).cast("int").alias("label"))
         .groupBy("doc_id").agg(F.max("label").alias("label"))
         .orderBy(F.xxhash64("doc_id"), "doc_id").limit(most)
-    )
-    return docs.select("doc_id", F.coalesce(F.col("text"), F.lit("")).alias("text")).join(F.broadcast(chosen), "doc_id")
+    )
+    named = docs.select("doc_id", F.coalesce(F.col("text"), F.lit("")).alias("text")).join(F.broadcast(chosen), "doc_id")
+    rows = stage(named.withColumn("_mark", F.xxhash64("text")), "labelled")
+    keys = rows.select("doc_id", "_mark", F.octet_length("text").cast("long").alias("_bytes")).distinct().orderBy(F.xxhash64("doc_id"), "doc_id", "_mark").limit(most)
+    if most_bytes is not None:  # the window holds at most `most` keys
+        upto = Window.orderBy(F.xxhash64("doc_id"), "doc_id", "_mark").rowsBetween(Window.unboundedPreceding, 0)
+        keys = keys.withColumn("_upto", F.sum("_bytes").over(upto)).where((F.col("_upto") <= most_bytes) | (F.col("_upto") == F.col("_bytes")))
+    taken = rows.join(F.broadcast(keys.select("doc_id", "_mark")), ["doc_id", "_mark"])
+    return taken.dropDuplicates(["doc_id", "_mark"]).select("doc_id", "text", "label")

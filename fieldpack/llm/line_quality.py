@@ -33,7 +33,7 @@ FEATURES = ["bias", "symbols", "upper", "bars", "digits", "marks", "repeated_lin
 #: Used where no labelled rows exist: emission weights for content, then stay and switch scores.
 PRIOR = {"w": [1.5, -3.0, -4.0, -3.0, -2.0, -8.0, -1.5, -4.0, -0.3, -0.5, -0.3, 0.0], "trans": [[0.7, -0.7], [-0.7, 0.7]]}
 #: Bound of the training sample, in documents, and of the lines of a training sequence.
-SAMPLE_DOCS, SAMPLE_LINES = 3000, 32
+SAMPLE_DOCS, SAMPLE_BYTES, SAMPLE_LINES = 3000, 16 << 20, 32
 MIN_CONTENT_SHARE = 0.5
 
 
@@ -254,8 +254,8 @@ def line_verdict(text: Column, model: dict) -> Column:
 
 
 def fit(docs: DataFrame, labels: DataFrame) -> dict:
-    """Trains on at most SAMPLE_DOCS labelled documents."""
-    rows = labelled_sample(docs, labels, "quality", F.lit(False), SAMPLE_DOCS).orderBy("doc_id").collect()
+    """Trains on at most SAMPLE_DOCS labelled documents of at most SAMPLE_BYTES bytes together."""
+    rows = sorted(labelled_sample(docs, labels, "quality", F.lit(False), SAMPLE_DOCS, SAMPLE_BYTES).collect())
     return train_chain([r["text"] for r in rows], [r["label"] for r in rows])
 
 

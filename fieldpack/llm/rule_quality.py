@@ -139,8 +139,7 @@ def boosted_rules(x: np.ndarray, y: np.ndarray, trees: int = 40, depth: int = 3,
     for _ in range(trees):
         part = rng.random(len(y)) < 0.7
         p = 1 / (1 + np.exp(-logit))
-        got, _ = grow_tree(x[part], (y - p)[part], (p * (1 - p))[part], depth, least, cuts)
-        _, fitted = grow_tree(x, y - p, p * (1 - p), depth, least, cuts)
+        got, fitted = grow_tree(x, np.where(part, y - p, 0.0), np.where(part, p * (1 - p), 0.0), depth, least, cuts)  # rows left out have no say
         logit += rate * fitted
         rules |= dict.fromkeys(got)
     return list(rules)

@@ -9,7 +9,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from fieldpack.llm import components, mixing, near_dedup, registry, rule_quality, topk, toxicity, warc
-from fieldpack.llm.common import crc_split
+from fieldpack.llm.common import crc_split, labelled_sample
 
 
 def shingles(text, k):
@@ -184,37 +184,109 @@ def test_recurrent_gradients():
     net, feats = toxicity.new_network(), rng.normal(size=(30, toxicity.INPUTS))
     codes, mask, y = rng.integers(0, 30, (4, toxicity.WINDOW)), np.ones((4, toxicity.WINDOW), bool), np.array([0, 1, 1, 0.0])
     mask[0, 5:] = False
-    _, g = toxicity.gradients(net, feats, codes, mask, y)
-    for k in net:
-        i = tuple(rng.integers(0, n) for n in net[k].shape)
-        old = net[k][i]
-        net[k][i] = old + 1e-5
+    _, g, d_feats = toxicity.gradients(net, feats, codes, mask, y)
+    for table, grad in [*((net[k], g[k]) for k in net), (feats, d_feats), (feats, d_feats)]:
+        i = tuple(rng.integers(0, n) for n in table.shape)
+        old = table[i]
+        table[i] = old + 1e-5
         up = toxicity.gradients(net, feats, codes, mask, y)[0]
-        net[k][i] = old - 1e-5
+        table[i] = old - 1e-5
         down = toxicity.gradients(net, feats, codes, mask, y)[0]
-        net[k][i] = old
-        assert abs((up - down) / 2e-5 - g[k][i]) < 1e-6
+        table[i] = old
+        assert abs((up - down) / 2e-5 - grad[i]) < 1e-6
 
 
 def test_windows_cover_every_word():
-    lengths = [0, 1, 16, 17, 24, 25, 100]
-    offsets = np.concatenate([[0], np.cumsum(lengths)[:-1]])
-    position, mask, owner = toxicity.window_table(lengths, offsets)
+    lengths = np.array([0, 1, 16, 17, 24, 25, 100])
+    offsets = np.cumsum(lengths) - lengths
+    starts, sizes, owner = toxicity.window_table(lengths, offsets)
+    codes, mask = toxicity.lay_out(np.arange(lengths.sum()), starts, sizes)
     for d, n in enumerate(lengths):
-        seen = set(position[owner == d].ravel()) - {-1}
-        assert seen == set(range(offsets[d], offsets[d] + n)) and mask[owner == d].any()
+        seen = set(codes[owner == d].ravel()) - {-1}
+        assert seen == set(range(offsets[d], offsets[d] + n)) and mask[owner == d].any(axis=1).all()
 
 
-def test_toxic_words_are_learned():
+def made_up_toxic(n=240):
     rng = random.Random(7)
     vocab = [f"{a}{b}" for a in "bdfgklm" for b in ("ando", "eri", "oth", "ulat", "ines", "ayo", "imp")]
     make = lambda bad: " ".join(rng.choice(vocab) if rng.random() > bad else "grakul" + rng.choice(["", "a", "os"]) for _ in range(120))
-    y = [int(rng.random() < 0.4) for _ in range(240)]
-    texts = [make(0.03 * t) for t in y]
-    model = toxicity.train(texts[:160], y[:160], epochs=8)
+    y = [int(rng.random() < 0.4) for _ in range(n)]
+    return [make(0.03 * t) for t in y], y
+
+
+def test_toxic_words_are_learned():
+    texts, y = made_up_toxic()
+    model = toxicity.train(texts[:160], y[:160])
     p = model.scores([*texts[160:], None, ""])
     assert (((p[:80] >= 0.3).astype(int)) == np.array(y[160:])).mean() > 0.9 and p[80] == p[81]
-    assert toxicity.train(["a"], [0]).scores(["x"])[0] == 0.0
+    unknown = [t.replace("grakul", "grakulix") for t in texts[160:] if t.count("grakul") > 2]  # read by their characters
+    assert len(unknown) > 5 and (model.scores(unknown) >= 0.3).mean() > 0.7
+    assert toxicity.train(["a"], [0]).scores(["x"])[0] == 0.0 and toxicity.train([], []).scores(["x"])[0] == 0.0
+
+
+def test_toxic_score_of_one_text_by_hand():
+    """Window by window and word by word, with none of the operator's batching."""
+    texts, y = made_up_toxic(60)
+    model = toxicity.train(texts, y, toxicity.Training(turns=1, steps=5))
+    text = texts[0] + " GRAKUL! and #"
+    words, emb, net, h_n = text.lower().split(), model.embeddings, model.net, toxicity.HIDDEN
+    sig = lambda x: 1 / (1 + np.exp(-x))
+
+    def vector(word):
+        core = word.strip(toxicity.MARKS) or word
+        rows = [toxicity.gram_rows([core])[0]]
+        return np.concatenate([emb.words[emb.known.get(core, 0)], emb.grams[rows[0]].mean(axis=0)])
+
+    def states(xs, s):
+        h, out = np.zeros(h_n), []
+        for x in xs:
+            a = x @ net[f"W{s}"] + net[f"c{s}"]
+            z, r = sig(a[:h_n] + h @ net[f"U{s}"][:, :h_n]), sig(a[h_n : 2 * h_n] + h @ net[f"U{s}"][:, h_n : 2 * h_n])
+            h = z * h + (1 - z) * np.tanh(a[2 * h_n :] + (r * h) @ net[f"U{s}"][:, 2 * h_n :])
+            out.append(h)
+        return out
+
+    got = []
+    for at in sorted({min(i, len(words) - toxicity.WINDOW) for i in range(0, len(words) - toxicity.WINDOW + toxicity.STEP, toxicity.STEP)}):
+        xs = [vector(w) for w in words[at : at + toxicity.WINDOW]]
+        both = [np.concatenate(p) for p in zip(states(xs, "f"), states(xs[::-1], "b")[::-1])]
+        e = np.exp([b @ net["v"] for b in both])
+        got.append(float((e / e.sum()) @ np.array(both) @ net["o"] + net["k"][0]))
+    best = sorted(got, reverse=True)[:3]
+    evidence = np.array([best[0], np.mean(best), np.log1p(sum(map(sig, got))), np.log(len(got)), 1.0])
+    assert abs(model.scores([text])[0] - sig(evidence @ model.scale)) < 1e-4
+
+
+def test_toxicity_held_out(spark):
+    """On the larger tables: documents that training never sees."""
+    sf_dir = "/root/testdata/sf0.1"
+    got = registry.QUERIES["op1_toxicity"](spark, sf_dir).join(spark.read.parquet(f"{sf_dir}/labels.parquet"), "doc_id").where("held_out").select("score", "toxic").toPandas()
+    rank, hot = got["score"].rank(), got["toxic"] == 1
+    auc = (rank[hot].sum() - hot.sum() * (hot.sum() + 1) / 2) / (hot.sum() * (~hot).sum())
+    assert auc >= 0.95 and (got["score"][~hot] >= 0.3).mean() < 0.05
+
+
+def test_classifiers_on_odd_tables(spark, tmp_path):
+    docs = [(1, None), (2, ""), (3, "a b"), (3, "a b"), (None, "x"), *((10 + i, t) for i, t in enumerate(made_up_toxic(60)[0]))]
+    spark.createDataFrame([(i, t, "s", 0.5) for i, t in docs], "doc_id long, text string, score string, label double").write.parquet(f"{tmp_path}/a/documents.parquet")
+    spark.createDataFrame([(10 + i, y, y) for i, y in enumerate(made_up_toxic(60)[1])] + [(3, None, None), (None, 1, 1)], "doc_id long, toxic int, quality int").write.parquet(f"{tmp_path}/a/labels.parquet")
+    spark.createDataFrame([], "doc_id long, text string").write.parquet(f"{tmp_path}/b/documents.parquet")
+    spark.createDataFrame([], "doc_id long, toxic int, quality int").write.parquet(f"{tmp_path}/b/labels.parquet")
+    for name in ("op1_toxicity", "op2_rule_quality"):
+        got = registry.QUERIES[name](spark, f"{tmp_path}/a").collect()
+        assert len(got) == len(docs) and all(r["score"] is not None and 0 <= r["score"] <= 1 for r in got)
+        by = {r["doc_id"]: r["score"] for r in got}
+        assert by[1] == by[2] and len({r["score"] for r in got if r["doc_id"] == 3}) == 1
+        assert registry.QUERIES[name](spark, f"{tmp_path}/b").count() == 0
+
+
+def test_labelled_sample_is_bounded_in_rows(spark):
+    docs = spark.createDataFrame([(1, f"text {i}") for i in range(300)] + [(2, "x" * 100)] * 9, "doc_id long, text string")
+    labels = spark.createDataFrame([(1, 1), (2, 1)], "doc_id long, toxic int")
+    assert labelled_sample(docs, labels, "toxic", F.lit(False), 10).count() == 10
+    assert labelled_sample(docs, labels, "toxic", F.lit(False), 400).count() == 301
+    sizes = [len(r["text"]) for r in labelled_sample(docs, labels, "toxic", F.lit(False), 400, 200).collect()]
+    assert 0 < sum(sizes) <= 200
 
 
 @pytest.mark.parametrize("name,mod,rem", [("op1_toxicity", 4, 2), ("op2_rule_quality", 3, 1)])
