@@ -15,7 +15,7 @@ from fieldpack.llm.bpe import default_files, encode_documents
 from fieldpack.llm.common import bound_batches, read_table, stage
 from fieldpack.llm.line_quality import fit, judge_documents
 from fieldpack.llm.mixing import mix_documents
-from fieldpack.llm.near_dedup import NearDup, near_duplicates
+from fieldpack.llm.near_dedup import NearDup, near_duplicates, text_mark
 from fieldpack.llm.secrets import find_secrets, redact
 
 
@@ -26,10 +26,16 @@ def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 
 def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group of near copies (five words, 0.8) stays: that with the smallest id."""
-    kept = stage(near_duplicates(docs.select("doc_id", "text"), NearDup()).where("kept AND doc_id IS NOT NULL").select("doc_id").distinct(), "near-kept")
-    chosen = docs.where(F.col("doc_id").isNotNull()).join(kept, "doc_id", "left_semi").dropDuplicates(["doc_id"])
-    return chosen.unionByName(docs.where(F.col("doc_id").isNull())).select(*docs.columns)
+    """One document of each group of near copies (five words, 0.8) stays: that with the smallest id. Rows are told
+    apart by id and text: other texts under the same id are other documents, equal rows are copies. Documents
+    without words and rows without an id all stay."""
+    found = near_duplicates(docs.select("doc_id", "text"), NearDup())
+    chosen = stage(found.where("chosen AND doc_id IS NOT NULL AND n_shingles > 0").select("doc_id", "mark").distinct(), "near-chosen")
+    alone = stage(found.where("doc_id IS NOT NULL AND n_shingles = 0").select("doc_id", "mark").distinct(), "near-alone")
+    marked = docs.where(F.col("doc_id").isNotNull()).withColumn("_mark", text_mark(F.col("text")))
+    of = lambda ids: marked.join(ids.withColumnsRenamed({"doc_id": "_id", "mark": "_of"}), (F.col("doc_id") == F.col("_id")) & (F.col("_mark") == F.col("_of")), "left_semi")
+    out = of(chosen).dropDuplicates(["doc_id", "_mark"]).unionByName(of(alone)).drop("_mark")
+    return out.unionByName(docs.where(F.col("doc_id").isNull())).select(*docs.columns)
 
 
 def secret_scan(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
