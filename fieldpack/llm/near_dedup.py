@@ -17,8 +17,8 @@ Copies are folded first (equal sets are one class, told by a digest of the set).
    meet the members of other components, every pair in the first bucket that it shares. Sizes are
    compared first, then the sketches that gave the buckets, then finer ones made for these members
    only; what is left becomes rows. A large bucket is cut into blocks that go to many tasks;
-3. of those pairs the closest of any two components is confirmed first, for two rounds, and components
-   are joined; what then still lies between components is confirmed pair by pair.
+3. of those pairs the closest of any two components is confirmed first, and components are joined;
+   what then still lies between components is confirmed pair by pair.
 
 Sketches are compared by two bits of every coordinate; a pair at the similarity asked for differs in
 more than `most_apart` with a probability of some 3e-7.
@@ -57,6 +57,10 @@ _EMPTY = _U(0xFFFFFFFFFFFFFFFF)
 LEAST_BINS = 288
 #: Coordinates of the finer sketches.
 FINE_BINS = 2048
+#: Words of the bitmap that goes to every task (4 MB).
+FILTER_WORDS = 1 << 18
+#: Values that one step of sketching works on.
+SKETCH_VALUES = 1 << 21
 #: Members of a block on either side, and about how many rows a worker gets at once.
 BLOCK_MEMBERS, GROUP_ROWS = 4096, 16384
 
@@ -118,29 +122,26 @@ def shingle_sets(texts: list[str | None], k: int) -> list[np.ndarray]:
 
 
 def sketch(sets: list[np.ndarray], bins: int) -> np.ndarray:
-    """Fast similarity sketches, one row of `bins` coordinates for each set; empty sets give empty coordinates."""
+    """Fast similarity sketches, one row of `bins` coordinates for each set; empty sets give empty coordinates.
+
+    A coordinate is the least (round, hash) of the elements that fall into its bin. Ever more rounds are
+    made at once, of those sets only that still have an empty bin."""
     n = len(sets)
     table = np.full(n * bins, _EMPTY, dtype=np.uint64)
     live = np.flatnonzero(np.array([len(s) for s in sets], dtype=np.int64))
+    done, step = 0, 1
     with np.errstate(over="ignore"):
-        for r in range(2 * bins):
-            if not len(live):
-                break
+        while len(live) and done < 2 * bins:
             x = np.concatenate([sets[i] for i in live])
-            owner = np.repeat(live, [len(sets[i]) for i in live])
-            h = mix64(x + _U(r + 1) * _M1) & ~_U(1)
-            at = ((mix64(h ^ _M3) >> _U(32)) * _U(bins) >> _U(32)).astype(np.int64) if r < bins else np.full(len(x), r - bins, dtype=np.int64)
-            got = np.full(n * bins, _EMPTY, dtype=np.uint64) if r == 0 else None
-            key = owner * bins + at
-            if got is not None:
-                np.minimum.at(got, key, h)
-                table = got
-            else:  # bins of earlier rounds stand
-                open_ = table[key] == _EMPTY
-                spots, place = np.unique(key[open_], return_inverse=True)
-                best = np.full(len(spots), _EMPTY, dtype=np.uint64)
-                np.minimum.at(best, place, h[open_])
-                table[spots] = best
+            owner = np.repeat(live, [len(sets[i]) for i in live]) * bins
+            step = max(1, min(2 * step, SKETCH_VALUES // len(x), 2 * bins - done))
+            for r in range(done, done + step, 64):
+                rounds = np.arange(r, min(r + 64, done + step), dtype=np.uint64)[:, None]
+                h = mix64(x[None, :] + (rounds + _U(1)) * _M1)
+                at = (mix64(h ^ _M3) >> _U(32)) * _U(bins) >> _U(32)
+                at = np.where(rounds < _U(bins), at, rounds - _U(bins)).astype(np.int64)
+                np.minimum.at(table, (owner[None, :] + at).ravel(), ((rounds << _U(48)) | (h >> _U(16))).ravel())
+            done += step
             live = live[(table.reshape(n, bins)[live] == _EMPTY).any(axis=1)]
     return table.reshape(n, bins)
 
@@ -215,6 +216,15 @@ def overlap(a: Column, b: Column) -> Column:
     return run(a, b)
 
 
+def maybe_named(texts: DataFrame, named: DataFrame) -> DataFrame:
+    """The texts whose mark's place in a bitmap is set by a named one: most others stay where they lie and aren't
+    shuffled. The bitmap has at most FILTER_WORDS words of 64 bits, whatever the input's size."""
+    place = F.shiftrightunsigned("mark", 6).bitwiseAND(F.lit(FILTER_WORDS - 1))
+    bit = F.expr("shiftleft(1L, cast(mark & 63 as int))")
+    words = named.groupBy(place.alias("_word")).agg(F.bit_or(bit).alias("_bits"))
+    return texts.withColumn("_word", place).join(F.broadcast(words), "_word").where(F.col("_bits").bitwiseAND(bit) != 0).drop("_word", "_bits")
+
+
 class SetStore:
     """The full sets of those classes that a pair has named so far, staged; texts are read again only for new names."""
 
@@ -225,7 +235,7 @@ class SetStore:
         known = self._all()
         fresh = stage((named if known is None else named.join(known.select("id"), "id", "left_anti")).join(self.classes, "id"), "near-named")
         if known is None or not fresh.isEmpty():
-            own = self.texts.join(fresh, ["doc_id", "mark"]).dropDuplicates(["id"])
+            own = maybe_named(self.texts, fresh).join(fresh, ["doc_id", "mark"]).dropDuplicates(["id"])
             self.parts.append(stage(own.select("id", set_bytes(F.col("text"), self.p.words).alias("shingles")), "near-sets"))
         return self._all()
 
@@ -281,7 +291,8 @@ def fine_sketches(sets: DataFrame) -> DataFrame:
                 table = sketch([np.frombuffer(x, dtype=np.uint64) for x in part["shingles"]], FINE_BINS)
                 yield pd.DataFrame({"id": part["id"].array, "fine": [x.tobytes() for x in sketch_planes(table)]})
 
-    return sets.select("id", "shingles").mapInPandas(run, "id long, fine binary")
+    parts = int(sets.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    return sets.select("id", "shingles").repartition(parts, "id").mapInPandas(run, "id long, fine binary")
 
 
 class Members:
@@ -319,8 +330,8 @@ def block_pairs(left: Members, right: Members, main: int, band: int, p: NearDup)
     return out
 
 
-def pairs_across(member: DataFrame, tested: DataFrame, classes: DataFrame, parts: DataFrame, store: SetStore, p: NearDup) -> DataFrame:
-    """(a, b, part_a, part_b, apart): what may link in buckets that hold several components and isn't `tested`.
+def pairs_across(member: DataFrame, classes: DataFrame, parts: DataFrame, store: SetStore, p: NearDup) -> DataFrame:
+    """(a, b, part_a, part_b, apart): what may link in buckets that hold several components.
 
     One side of a block holds members outside the bucket's largest component, the other any members; a pair outside
     the largest component is taken from its smaller id. Blocks are dealt to groups of some GROUP_ROWS rows."""
@@ -356,7 +367,7 @@ def pairs_across(member: DataFrame, tested: DataFrame, classes: DataFrame, parts
         return pd.DataFrame(found, columns=["a", "b", "part_a", "part_b", "apart"], dtype="int64")
 
     found = dealt.select(*columns).groupBy("grp").applyInPandas(run, "a long, b long, part_a long, part_b long, apart long")
-    return (found.distinct() if p.exact else found).join(tested, ["a", "b"], "left_anti")
+    return found.distinct() if p.exact else found
 
 
 def near_classes(docs: DataFrame, p: NearDup) -> tuple[DataFrame, DataFrame, DataFrame]:
@@ -383,19 +394,20 @@ def near_classes(docs: DataFrame, p: NearDup) -> tuple[DataFrame, DataFrame, Dat
     near = stage(near.select("a", "b"), "near-pairs")
     links = store.confirm(near)
     parts = stage(connected_components(links), "near-parts")
-    left = stage(pairs_across(member, near, classes, parts, store, p), "near-across")
-    for closest in (True, True, False):
-        if left.isEmpty():
-            break
-        best = left.groupBy(F.least("part_a", "part_b").alias("lo"), F.greatest("part_a", "part_b").alias("hi")).agg(F.min(F.struct("apart", "a", "b")).alias("p")).select("p.a", "p.b") if closest else left.select("a", "b")
-        sure = store.confirm(stage(best, "near-closest"))
-        if not sure.isEmpty():
-            links = stage(links.unionByName(sure), "near-all-links")
-            parts = stage(connected_components(links), "near-parts")
-        now = parts.select(F.col("id").alias("a"), F.col("component").alias("now_a")), parts.select(F.col("id").alias("b"), F.col("component").alias("now_b"))
-        left = left.join(best, ["a", "b"], "left_anti").join(now[0], "a", "left").join(now[1], "b", "left")
-        left = left.select("a", "b", F.coalesce("now_a", "part_a").alias("part_a"), F.coalesce("now_b", "part_b").alias("part_b"), "apart")
-        left = stage(left.where("part_a <> part_b"), "near-across")
+    left = stage(pairs_across(member, classes, parts, store, p), "near-across")
+    best = left.groupBy(F.least("part_a", "part_b").alias("lo"), F.greatest("part_a", "part_b").alias("hi")).agg(F.min(F.struct("apart", "a", "b")).alias("p"))
+    best = stage(best.select("p.a", "p.b", "lo", "hi"), "near-closest")
+    sure = store.confirm(best)
+    if not sure.isEmpty():  # what these links join needs no further test
+        joined = best.join(sure, ["a", "b"], "left_semi").select(F.col("lo").alias("a"), F.col("hi").alias("b"))
+        now = stage(connected_components(joined), "near-joined")
+        for k in "ab":
+            left = left.join(now.select(F.col("id").alias(f"part_{k}"), F.col("component").alias(f"now_{k}")), f"part_{k}", "left")
+        left = left.where(F.coalesce("now_a", "part_a") != F.coalesce("now_b", "part_b")).select("a", "b")
+        left = stage(left, "near-across")
+    sure = stage(sure.unionByName(store.confirm(left.select("a", "b"))), "near-more-links")
+    if not sure.isEmpty():
+        parts = stage(connected_components(links.unionByName(sure)), "near-parts")
     store.drop()
     drop_staged(member)
     return sketched, classes, parts
