@@ -14,7 +14,8 @@ and every document is then held against its source's border where it lies, witho
 Cases: null or empty texts have size 0 and are taken with 0 words; the null source is a source of
 its own, placed last; equal keys are ordered by id, size and text hash; rows that
 are equal in all of these share what the border gives;
-an empty table gives an empty mix.
+an empty table gives an empty mix;
+further columns may have any names.
 """
 
 from __future__ import annotations
@@ -106,8 +107,9 @@ def plan_mix(measures: DataFrame, plan: MixPlan) -> DataFrame:
         rows.append((r["source"], size, float(targets[r["source"]]), int(epochs), words - epochs * size, ranges))
     facts = spark.createDataFrame(rows, "mix_source string, source_size long, target double, epochs long, budget long, ranges int")
     beside = (lambda df: F.broadcast(df)) if len(rows) <= 100_000 else (lambda df: df)
-    # 1 - exp(-key) rises with the key and spreads over (0, 1): equal ranges of it hold comparable numbers of rows
-    spread = 1 - F.exp(-F.col("mix_key"))
+    # rises with the key from 0 to 1; the mean of three weights' distributions, so that whatever weights (0.25 to 1) a
+    # source has, no range holds more than some four times its share of the rows
+    spread = 1 - (F.exp(-F.col("mix_key")) + F.exp(-F.col("mix_key") / 2) + F.exp(-F.col("mix_key") / 4)) / 3
     placed = measures.join(beside(facts), F.col("source").eqNullSafe(F.col("mix_source"))).withColumn("mix_range", F.least(F.floor(spread * F.col("ranges")), F.col("ranges") - 1).cast("int"))
     sums = placed.groupBy("mix_source", "mix_range").agg(F.sum("mix_size").alias("words"))
     upto = Window.partitionBy("mix_source").orderBy("mix_range").rowsBetween(Window.unboundedPreceding, 0)
@@ -137,16 +139,18 @@ def mix_plan_of(docs: DataFrame, plan: MixPlan = MixPlan()) -> tuple[DataFrame,
 
 
 def mix_documents(docs: DataFrame, plan: MixPlan = MixPlan()) -> DataFrame:
-    """The mixed corpus with the columns of `docs`: whole copies first, then the partial one, cut after its last word taken."""
-    cols = docs.columns
-    _, sources = mix_plan_of(docs, plan)
-    dealt = apply_mix(measured(docs, plan), sources)
+    """The mixed corpus with the columns of `docs`: whole copies first, then the partial one, cut after its last word taken.
+    Columns that only ride along are kept in a struct meanwhile, whatever their names."""
+    cols, used = docs.columns, ("doc_id", "text", "source")
+    rest = [c for c in cols if c not in used]
+    base = docs.select(*used, F.struct(F.lit(0).alias("none"), *[docs[c].alias(f"c_{c}") for c in rest]).alias("mix_row"))
+    _, sources = mix_plan_of(base, plan)
+    dealt = apply_mix(measured(base, plan), sources)
     copies = F.concat(F.array_repeat(F.lit(-1).cast("long"), F.col("epochs").cast("int")), F.when((F.col("part") > 0) | ((F.col("mix_size") == 0) & (F.col("epochs") == 0)), F.array("part")).otherwise(F.array().cast("array<long>")))
     cut = F.when((F.col("copy_words") < 0) | (F.col("copy_words") >= F.col("mix_size")), F.col("text")).otherwise(first_words(F.col("text"), F.col("copy_words")))
     out = dealt.withColumn("copy_words", F.explode(copies)).withColumn("text", cut)
-    if "n_chars" in cols:
-        out = out.withColumn("n_chars", F.length("text").cast("long"))
-    return out.select(*cols)
+    row = lambda c: F.col("mix_row").getField(f"c_{c}").alias(c)
+    return out.select(*[F.length("text").cast("long").alias(c) if c == "n_chars" else F.col(c) if c in used else row(c) for c in cols])
 
 
 def first_words(text: Column, n: Column) -> Column:

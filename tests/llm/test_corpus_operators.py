@@ -184,6 +184,24 @@ def test_mix_odd_tables(spark):
     assert len(got) == 6 and abs(sum(r["taken"] for r in got) - 30) <= 5
 
 
+def test_mix_with_clashing_names(spark):
+    names = ["target", "epochs", "border", "part", "taken", "mix_size", "mix_key", "mix_source", "source_size", "s", "offset", "words", "copy_words", "none"]
+    df = spark.createDataFrame([(i, "a b c d", "st"[i % 2], 9, *[str(i)] * len(names)) for i in range(30)], "doc_id long, text string, source string, n_chars long, " + ", ".join(f"{n} string" for n in names))
+    mixed = mixing.mix_documents(df)
+    assert mixed.columns == df.columns
+    rows = mixed.collect()
+    assert sum(len(r["text"].split()) for r in rows) == 180 and all(r[n] == str(r["doc_id"]) for r in rows for n in names) and all(r["n_chars"] == len(r["text"]) for r in rows)
+
+
+def test_ranges_of_keys_are_even(spark):
+    import math
+
+    for w in (0.25, 0.4, 0.7, 1.0):
+        keys = [-math.log((i + 0.5) / 20000) / w for i in range(20000)]
+        at = np.bincount([int((1 - (math.exp(-k) + math.exp(-k / 2) + math.exp(-k / 4)) / 3) * 100) for k in keys], minlength=100)
+        assert at.max() <= 4.5 * 200
+
+
 def test_arc_is_converted_and_read_back():
     for version in (1, 2):
         w = warc.ArcWriter(version, "a.arc")
