@@ -7,8 +7,11 @@ add (the product of both remaining norms) stays below the query's k-th best so f
 compacted before the next dimensions are read. Each task carries its queries' best from block to
 block; the tasks' few best rows are merged at the end.
 
-Queries are a stated set (ids divisible by 100) that meets all rows in packed blocks: the pairing
-joins blocks, not rows.
+Queries are a stated set (ids divisible by 100) that meets all rows in packed blocks. Query blocks
+are put into groups of bounded bytes and candidate blocks into portions; a group and a portion meet
+by an equi-join on both numbers, so nothing is broadcast that grows with the input, and a task holds
+one group's queries at a time. Candidates whose norm cannot reach any query's k-th best are dropped
+before the first product.
 
 Cases: null vectors and vectors with null, NaN or infinite components take no part; shorter vectors
 are as if filled up with zeros; ties go to the smaller id; repeated candidate rows each count;
@@ -27,6 +30,8 @@ from pyspark.sql import functions as F
 from .common import bound_batches, read_table, small_batches, stage
 
 BLOCK_ROWS, QUERY_ROWS, DIMS = 4096, 256, 16
+#: Bytes of query blocks in a group, and candidate blocks in a portion.
+GROUP_BYTES, PORTION_BLOCKS = 32 << 20, 16
 EXACT = float(1 << 53)
 
 
@@ -85,6 +90,10 @@ def scan_block(queries: np.ndarray, query_ids: np.ndarray, values: np.ndarray, i
     cuts = list(range(dims, d, dims))
     q_left = [np.sqrt((queries[:, c:] ** 2).sum(axis=1)) for c in cuts]
     c_left = [np.sqrt((values[c:] ** 2).sum(axis=0)) for c in cuts]
+    floors = np.array([best.floor(q) for q in range(len(queries))])
+    reach = np.sqrt((queries**2).sum(axis=1))[:, None] * np.sqrt((values**2).sum(axis=0)) * (1 + 1e-9) + 1e-3
+    some = (reach >= floors[:, None]).any(axis=0)
+    values, ids, c_left = values[:, some], ids[some], [c[some] for c in c_left]
     first = queries[:, :dims] @ values[:dims]
     read = 0
     for q in range(len(queries)):
@@ -133,25 +142,36 @@ def top_k(vectors: DataFrame, is_query, k: int = 10) -> DataFrame:
     bound_batches(spark)
     candidates = stage(pack_blocks(rows, BLOCK_ROWS), "topk-candidates")
     queries = stage(pack_blocks(rows.where(is_query(F.col("id"))).dropDuplicates(["id", "key"]), QUERY_ROWS), "topk-queries")
-    q = queries.select(*[F.col(c).alias(f"q_{c}") for c in queries.columns])
+    size = queries.agg(F.sum(F.octet_length("values").cast("long"))).first()[0] or 0
+    groups, portions = max(1, -(-size // GROUP_BYTES)), max(1, -(-candidates.count() // PORTION_BLOCKS))
+    number = lambda n: F.sequence(F.lit(0), F.lit(n - 1))
+    q = queries.select(F.pmod(F.xxhash64("ids", "keys"), F.lit(groups)).cast("int").alias("grp"), F.explode(number(portions)).alias("portion"), *[F.col(c).alias(f"q_{c}") for c in queries.columns])
+    c = candidates.withColumn("portion", F.pmod(F.xxhash64("ids"), F.lit(portions)).cast("int")).withColumn("grp", F.explode(number(groups)))
+
+    def results(known: dict) -> Iterator[pd.DataFrame]:
+        for _, q_ids, q_keys, best in known.values():
+            for i in range(len(q_ids)):
+                if len(best.ids[i]):
+                    yield pd.DataFrame({"query_id": q_ids[i], "query_key": q_keys[i], "vec_id": best.ids[i], "score": [int(x) for x in best.scores[i]]})
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         known: dict[bytes, tuple[np.ndarray, np.ndarray, np.ndarray, Best]] = {}
+        now = None
         for pdf in batches:
             for r in pdf.itertuples(index=False):
+                if r.grp != now:
+                    yield from results(known)
+                    known, now = {}, r.grp
                 name = r.q_ids + r.q_keys
                 if name not in known:
                     mat = np.frombuffer(r.q_values).reshape(r.q_dims, r.q_n).T
                     known[name] = np.ascontiguousarray(mat), np.frombuffer(r.q_ids, dtype=np.int64), np.frombuffer(r.q_keys, dtype=np.int64), Best(r.q_n, k)
                 mat, q_ids, _, best = known[name]
                 scan_block(mat, q_ids, np.frombuffer(r.values).reshape(r.dims, r.n), np.frombuffer(r.ids, dtype=np.int64), best)
-        for _, q_ids, q_keys, best in known.values():
-            for i in range(len(q_ids)):
-                if len(best.ids[i]):
-                    yield pd.DataFrame({"query_id": q_ids[i], "query_key": q_keys[i], "vec_id": best.ids[i], "score": [int(x) for x in best.scores[i]]})
+        yield from results(known)
 
     with small_batches(spark, 4):
-        found = stage(candidates.crossJoin(q).mapInPandas(run, "query_id long, query_key long, vec_id long, score long"), "topk-found")
+        found = stage(c.join(q, ["grp", "portion"]).mapInPandas(run, "query_id long, query_key long, vec_id long, score long"), "topk-found")
     order = Window.partitionBy("query_id", "query_key").orderBy(F.desc("score"), "vec_id")
     return found.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
 

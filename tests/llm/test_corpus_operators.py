@@ -228,7 +228,12 @@ def test_archives_of_odd_pages(spark):
     assert warc.read_archives(warc.write_archives(df.where("false"))).count() == 0
 
 
-def test_top_k_against_all(spark):
+@pytest.mark.parametrize("small", [False, True])
+def test_top_k_against_all(spark, monkeypatch, small):
+    if small:  # many groups and portions
+        for name, value in (("BLOCK_ROWS", 20), ("QUERY_ROWS", 1), ("GROUP_BYTES", 100), ("PORTION_BLOCKS", 2)):
+            monkeypatch.setattr(topk, name, value)
+    assert topk.top_k(spark.createDataFrame([], "vec_id long, embedding array<float>"), lambda i: i % 100 == 0).count() == 0
     rng = np.random.default_rng(4)
     rows = [(i, [float(x) for x in np.float32(rng.choice([rng.normal(size=20), np.round(rng.normal(size=20))]))]) for i in range(250)]
     rows += [(300, None), (301, [1.0, None]), (302, [float("nan")] * 20), (303, [0.5] * 3)]
