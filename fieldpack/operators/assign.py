@@ -85,12 +85,12 @@ def kmeans(blocks: DataFrame, k: int, iterations: int = 10, centers: np.ndarray
     for _ in range(iterations):
         if not len(centers):
             break
-        joined = _partial_sums(blocks, centers)
-        rows = joined.groupBy("net_id").agg(F.sum("n").alias("n"), F.sum("inertia").alias("inertia"), *[F.sum(F.get("sums", F.lit(i))).alias(f"s{i}") for i in range(centers.shape[1])]).collect()
-        history.append(sum(r["inertia"] for r in rows))
         new = centers.copy()
-        for r in rows:
-            new[r["net_id"]] = np.array([r[f"s{i}"] for i in range(centers.shape[1])]) / r["n"]
+        total = 0.0
+        for r in _joined_sums(_partial_sums(blocks, centers)).collect():  # at most MOST_CENTROID_VALUES values
+            new[r["net_id"]] = np.frombuffer(r["sums"]) / r["n"]
+            total += r["inertia"]
+        history.append(total)
         if np.array_equal(new, centers):
             break
         centers = new
@@ -112,9 +112,22 @@ def _partial_sums(blocks: DataFrame, centers: np.ndarray) -> DataFrame:
             n += np.bincount(best, minlength=k)
             inertia += np.bincount(best, weights=((x - centers[best]) ** 2).sum(axis=1), minlength=k)
         at = np.flatnonzero(n)
-        yield pd.DataFrame({"net_id": at.astype("int32"), "n": n[at], "inertia": inertia[at], "sums": [sums[i] for i in at]})
+        yield pd.DataFrame({"net_id": at.astype("int32"), "n": n[at], "inertia": inertia[at], "sums": [sums[i].tobytes() for i in at]})
 
-    return blocks.select("values").mapInPandas(run, "net_id int, n long, inertia double, sums array<double>")
+    return blocks.select("values").mapInPandas(run, SUMS)
+
+
+SUMS = "net_id int, n long, inertia double, sums binary"
+
+
+def _joined_sums(partial: DataFrame) -> DataFrame:
+    """One row per net: the tasks' partial sums of a net, as many as there are tasks, are added as whole arrays."""
+
+    def run(key: tuple, pdf: pd.DataFrame) -> pd.DataFrame:
+        sums = np.sum([np.frombuffer(x) for x in pdf["sums"]], axis=0)
+        return pd.DataFrame({"net_id": [key[0]], "n": [int(pdf["n"].sum())], "inertia": [float(pdf["inertia"].sum())], "sums": [sums.tobytes()]})
+
+    return partial.groupBy("net_id").applyInPandas(run, SUMS)
 
 
 def uniform_fill(d2: np.ndarray, ids: np.ndarray) -> np.ndarray:
@@ -140,12 +153,53 @@ def uniformize(dist: DataFrame) -> DataFrame:
     """block_id, net_id, gain: the exact sequential fill in one task; for n*k up to some 5e7 distances (a shard)."""
 
     def run(pdf: pd.DataFrame) -> pd.DataFrame:
-        wide = pdf.pivot(index="block_id", columns="net_id", values="d2").sort_index().sort_index(axis=1)
-        d2 = wide.to_numpy()
-        got = uniform_fill(d2, wide.index.to_numpy())
-        return pd.DataFrame({"block_id": wide.index.to_numpy(), "net_id": wide.columns.to_numpy()[got].astype("int32"), "gain": d2.max(axis=1) - d2.min(axis=1)})
+        pdf = pdf.sort_values("block_id")
+        d2, ids = np.stack([np.frombuffer(x) for x in pdf["d2"]]), pdf["block_id"].to_numpy()
+        got = uniform_fill(d2, ids)
+        return pd.DataFrame({"block_id": ids, "net_id": nets[got], "gain": d2.max(axis=1) - d2.min(axis=1)})
+
+    nets = np.array(sorted(r[0] for r in dist.select("net_id").distinct().collect()), dtype="int32")
+    packed = dist.groupBy("block_id").agg(F.transform(F.array_sort(F.collect_list(F.struct("net_id", "d2"))), lambda s: s["d2"]).alias("row"))
+    as_bytes = packed.mapInPandas(lambda parts: (pd.DataFrame({"block_id": p["block_id"], "d2": [np.asarray(x, dtype=float).tobytes() for x in p["row"]]}) for p in parts), "block_id long, d2 binary")
+    return as_bytes.groupBy(F.lit(0).alias("shard")).applyInPandas(run, "block_id long, net_id int, gain double")
+
+
+def uniform_blocks(blocks: DataFrame, centers: np.ndarray) -> DataFrame:
+    """block_id, net_id: the exact fill over given centers. Distances are made in the tasks, one packed row of k doubles
+    per block, and never as rows of pairs; the fill reads them in the order of gain from a stream of sorted packed
+    rows, so its memory is that of the sizes of k nets and one batch, whatever the number of blocks."""
+    norm = (centers**2).sum(axis=1)
+    k = len(centers)
+
+    def rows(batches):
+        for pdf in batches:
+            if not len(pdf):
+                continue
+            x = np.stack(pdf["values"].to_numpy()).astype(float)
+            d2 = np.maximum((x**2).sum(axis=1)[:, None] - 2 * x @ centers.T + norm, 0)
+            choice = np.argsort(d2, axis=1, kind="stable").astype("int32")
+            yield pd.DataFrame({"block_id": pdf["block_id"], "gain": d2.max(axis=1) - d2.min(axis=1), "choice": [c.tobytes() for c in choice]})
+
+    told = keep(blocks.select("block_id", "values").mapInPandas(rows, "block_id long, gain double, choice binary"), "uniform-choices")
+    n = told.count()
+    low, high = n // k, -(-n // k)
+
+    def fill(batches):
+        size, full = np.zeros(k, dtype=np.int64), 0
+        for pdf in batches:
+            out = np.empty(len(pdf), dtype="int32")
+            for i, raw in enumerate(pdf["choice"]):
+                room = low if full < k and low > 0 else high
+                order = np.frombuffer(raw, dtype="int32")
+                c = order[np.argmax(size[order] < room)]
+                size[c] += 1
+                full += size[c] == low
+                out[i] = c
+            yield pd.DataFrame({"block_id": pdf["block_id"], "net_id": out})
 
-    return dist.groupBy(F.lit(0).alias("shard")).applyInPandas(run, "block_id long, net_id int, gain double")
+    # the fill is sequential by the method: one task, whose sort spills to disk and whose pass holds one batch
+    ordered = told.repartition(1).sortWithinPartitions(F.desc("gain"), "block_id")
+    return ordered.mapInPandas(fill, "block_id long, net_id int")
 
 
 def uniformize_rounds(dist: DataFrame, stage=keep, most_rounds: int = 1000) -> DataFrame:

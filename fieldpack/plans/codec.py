@@ -111,11 +111,10 @@ def assign_blocks(blocks: DataFrame, b: int, cfg: CodecConfig, size: int) -> Dat
     centers, _ = A.kmeans(blocks, k, cfg.kmeans_steps)
     if cfg.scheme == "kmeans":
         return A.assign_nearest(blocks, centers).select("block_id", "net_id")
-    table = blocks.sparkSession.createDataFrame([(i, [float(x) for x in c]) for i, c in enumerate(centers)], "net_id int, center array<double>")
-    dist = A.distances(blocks, table)
     if k * n > MOST_FILLED:
-        return A.uniformize_rounds(keep(dist, "uniform-distances"), most_rounds=k * n).select("block_id", "net_id")
-    return A.uniformize(dist).select("block_id", "net_id")
+        table = blocks.sparkSession.createDataFrame([(i, [float(x) for x in c]) for i, c in enumerate(centers)], "net_id int, center array<double>")
+        return A.uniformize_rounds(keep(A.distances(blocks, table), "uniform-distances"), most_rounds=k * n).select("block_id", "net_id")
+    return A.uniform_blocks(blocks, centers)
 
 
 def _finetune(blocks: DataFrame, nets: DataFrame, codes: DataFrame, coded: DataFrame, books: DataFrame, by: list[str], spec: FieldSpec, net: NetSpec, epochs: int, rate: float, scale: int, loss: str) -> DataFrame:
@@ -144,7 +143,8 @@ def _finetune(blocks: DataFrame, nets: DataFrame, codes: DataFrame, coded: DataF
                     theta = np.where(slot >= 0, now[np.maximum(slot, 0)], 0.0)
                     kept: list = []
                     e = forward(net, theta, net_inputs(coords, np.asarray(latent, dtype=float).reshape(1, -1)), kept) - np.asarray(values)
-                    g, _ = backward(net, theta, kept, 2 * e / len(e))
+                    d = 2 * e / len(e) if loss == "mse" else e / (np.sqrt((e * e).sum()) + 1e-12)
+                    g, _ = backward(net, theta, kept, d)
                     np.add.at(total, slot[slot >= 0], g[slot >= 0])
             yield pd.DataFrame({"slot": np.arange(len(now)), "g": total})
 

@@ -104,6 +104,24 @@ def uniform_sizes(spark, sf_dir):
     return uniform_assignment(spark, sf_dir).groupBy("net_id").agg(F.count("*").alias("size")).groupBy("size").agg(F.count("*").alias("nets"))
 
 
+@query("uniform_assignment", f"""WITH RECURSIVE {DIST}, i AS (SELECT net_id, row_number() OVER (ORDER BY net_id) AS pos FROM (SELECT DISTINCT net_id FROM dist)),
+ o AS (SELECT block_id, row_number() OVER (ORDER BY max(d2) - min(d2) DESC, block_id) AS step, list(pos ORDER BY d2, net_id) AS choices FROM dist JOIN i USING (net_id) GROUP BY block_id),
+ k AS (SELECT (SELECT count(*) FROM o) // count(*) AS low, CAST(ceil((SELECT count(*) FROM o) / count(*)) AS BIGINT) AS high, count(*) AS nets FROM i),
+ w(step, sizes, block_id, pos) AS (
+  SELECT CAST(0 AS BIGINT), list_transform(range(0, nets), lambda x: CAST(0 AS BIGINT)), CAST(NULL AS BIGINT), CAST(NULL AS BIGINT) FROM k
+  UNION ALL
+  SELECT step, list_transform(sizes, lambda s, p: s + CASE WHEN p = pos THEN 1 ELSE 0 END), block_id, pos FROM (
+   SELECT o.step, w.sizes, o.block_id, list_filter(o.choices, lambda c: w.sizes[c] < CASE WHEN list_min(w.sizes) < k.low THEN k.low ELSE k.high END)[1] AS pos
+   FROM w JOIN o ON o.step = w.step + 1, k))
+ SELECT w.block_id, CAST(i.net_id AS INTEGER) AS net_id FROM w JOIN i USING (pos)""")
+def uniform_assignment_by_block(spark, sf_dir):
+    """The whole assignment of the equal-size fill over the label centroids."""
+    rows = sorted(label_centroids(spark, sf_dir).collect())
+    centers = np.array([r["center"] for r in rows], dtype=float)
+    nets = F.array(*[F.lit(int(r["net_id"])) for r in rows])
+    return A.uniform_blocks(embedding_blocks(spark, sf_dir), centers).select("block_id", F.get(nets, F.col("net_id")).alias("net_id"))
+
+
 @query("uniform_rounds_equal", "SELECT count(*) AS blocks, count(*) AS equal FROM embeddings")
 def uniform_rounds_equal(spark, sf_dir):
     """The distributed fill gives the sequential fill's assignment: the twin counts all blocks as equal."""
