@@ -57,6 +57,19 @@ class CodecConfig:
         return c if compress else replace(c, prune=None, quant=None, entropy=False)
 
 
+@dataclass
+class StoredScale:
+    """A scale as it lies in the archive: coded streams, masks, quantized latents, and the small tables to read them."""
+
+    streams: DataFrame  # net_id, grp, n, data, centers (a codebook of the net's own, else null)
+    masks: DataFrame  # net_id, mask: a bit for each parameter
+    latents: DataFrame  # block_id, net_id, latent
+    words: dict[int, dict[int, str]]  # by group of a layer and kind: each code's word
+    centers: dict[int, list[float]]  # by group: the codebook
+    low: float = 0.0
+    step: float = 0.0  # 0: latents are 32-bit floats
+
+
 @dataclass
 class ScalePart:
     """What the archive keeps of a scale, and its sizes in bytes."""
@@ -64,9 +77,10 @@ class ScalePart:
     scale: int
     spec: FieldSpec
     flags: DataFrame  # block_id, effective
-    nets: DataFrame  # N.NETS, values already read from the codebooks
-    codes: DataFrame  # N.CODES
+    nets: DataFrame  # N.NETS, values as the archive's reader gets them
+    codes: DataFrame  # N.CODES, the same
     sizes: dict[str, float] = field(default_factory=dict)
+    stored: StoredScale | None = None
 
 
 @dataclass
@@ -156,41 +170,137 @@ def _finetune(blocks: DataFrame, nets: DataFrame, codes: DataFrame, coded: DataF
     return nets.sparkSession.createDataFrame([(*k, float(centers[i])) for k, i in place.items()], ", ".join(f"{c} {dict(coded.dtypes)[c]}" for c in by) + ", code int, center double")
 
 
+RAW = -1  # the group of parameters that are kept as 32-bit floats
+STREAMS = "net_id long, grp int, n int, data binary, centers binary"
+
+
+def _group(layer, kind):
+    return F.col(layer) * 2 + (F.col(kind) == "b").cast("int")
+
+
+def _streams(coded: DataFrame, words: dict[int, dict[int, str]], net: NetSpec, local: DataFrame | None) -> DataFrame:
+    """One row per net, layer and kind: its alive codes in the layout's order, coded. A group holds a net's layer."""
+    layout = coded.sparkSession.createDataFrame([(p, *w) for p, w in enumerate(net.layout())], "p int, layer int, kind string, row int, col int")
+    placed = coded.where("alive").join(F.broadcast(layout), ["layer", "kind", "row", "col"])
+    lists = placed.groupBy("net_id", _group("layer", "kind").alias("grp"), "kind").agg(F.transform(F.array_sort(F.collect_list(F.struct("p", "code"))), lambda s: s["code"]).alias("codes"))
+    if local is not None:
+        books = local.groupBy("net_id", "kind").agg(F.transform(F.array_sort(F.collect_list(F.struct("code", "center"))), lambda s: s["center"]).alias("book"))
+        lists = lists.join(books, ["net_id", "kind"])
+    else:
+        lists = lists.withColumn("book", F.lit(None).cast("array<double>"))
+
+    def run(batches):
+        for pdf in batches:
+            data = [E.pack_symbols(np.asarray(c), words[g]) for c, g in zip(pdf["codes"], pdf["grp"])]
+            own = [None if x is None else np.asarray(x, dtype="<f4").tobytes() for x in pdf["book"]]
+            yield pd.DataFrame({"net_id": pdf["net_id"], "grp": pdf["grp"], "n": [len(c) for c in pdf["codes"]], "data": data, "centers": own})
+
+    return lists.select("net_id", "grp", "codes", "book").mapInPandas(run, STREAMS)
+
+
+def _raw_streams(nets: DataFrame) -> DataFrame:
+    def run(batches):
+        for pdf in batches:
+            alive = [np.asarray(t, dtype="<f4")[np.asarray(a, dtype=bool)] for t, a in zip(pdf["theta"], pdf["alive"])]
+            yield pd.DataFrame({"net_id": pdf["net_id"], "grp": RAW, "n": [len(x) for x in alive], "data": [x.tobytes() for x in alive], "centers": None})
+
+    return nets.select("net_id", "theta", "alive").mapInPandas(run, STREAMS)
+
+
+def _masks(nets: DataFrame) -> DataFrame:
+    def run(batches):
+        for pdf in batches:
+            yield pd.DataFrame({"net_id": pdf["net_id"], "mask": [np.packbits(np.asarray(a, dtype=bool)).tobytes() for a in pdf["alive"]]})
+
+    return nets.select("net_id", "alive").mapInPandas(run, "net_id long, mask binary")
+
+
+def _latent_type(step: float, beta: int) -> str:
+    return "<f4" if step == 0 else "<u1" if beta <= 8 else "<u2"
+
+
+def _pack_latents(codes: DataFrame, low: float, step: float, beta: int) -> DataFrame:
+    def run(batches):
+        for pdf in batches:
+            x = [np.asarray(v, dtype=float) for v in pdf["latent"]]
+            x = [(np.round((v - low) / step) if step else v).astype(_latent_type(step, beta)).tobytes() for v in x]
+            yield pd.DataFrame({"block_id": pdf["block_id"], "net_id": pdf["net_id"], "latent": x})
+
+    return codes.select("block_id", "net_id", "latent").mapInPandas(run, "block_id long, net_id long, latent binary")
+
+
+def restore(stored: StoredScale, net: NetSpec, beta: int) -> tuple[DataFrame, DataFrame]:
+    """Nets and latent codes out of the stored form: what decoders see. Codebooks and words are small tables."""
+    places = [(layer * 2 + (kind == "b")) for layer, kind, _, _ in net.layout()]
+    places, words, centers = np.array(places), stored.words, stored.centers
+    low, step, kind = stored.low, stored.step, _latent_type(stored.step, beta)
+
+    def nets(batches):
+        for pdf in batches:
+            thetas, alives = [], []
+            for mask, streams in zip(pdf["mask"], pdf["streams"]):
+                alive = np.unpackbits(np.frombuffer(mask, dtype=np.uint8))[: len(places)].astype(bool)
+                theta = np.zeros(len(places))
+                for s in streams:
+                    if s["grp"] == RAW:
+                        theta[alive] = np.frombuffer(s["data"], dtype="<f4")
+                        continue
+                    book = np.array(centers[s["grp"]]) if s["centers"] is None else np.frombuffer(s["centers"], dtype="<f4").astype(float)
+                    got = E.unpack_symbols(bytes(s["data"]), words[s["grp"]], s["n"])
+                    theta[alive & (places == s["grp"])] = book[got]
+                thetas.append(theta), alives.append(alive)
+            yield pd.DataFrame({"net_id": pdf["net_id"], "theta": thetas, "alive": alives, "loss": [float("nan")] * len(pdf)})
+
+    def latents(batches):
+        for pdf in batches:
+            x = [np.frombuffer(v, dtype=kind).astype(float) for v in pdf["latent"]]
+            yield pd.DataFrame({"block_id": pdf["block_id"], "net_id": pdf["net_id"], "latent": [v * step + low if step else v for v in x]})
+
+    of_net = stored.streams.groupBy("net_id").agg(F.collect_list(F.struct("grp", "n", "data", "centers")).alias("streams"))
+    return stored.masks.join(of_net, "net_id", "left").mapInPandas(nets, N.NETS), stored.latents.mapInPandas(latents, N.CODES)
+
+
 def _compress(part: ScalePart, blocks: DataFrame, cfg: CodecConfig) -> None:
-    """Quantizes the scale's nets (if configured) and counts every part's bytes."""
-    net, spec, scale = cfg.net, part.spec, part.scale
+    """Brings the scale into its stored form, counts every part's bytes in it, and reads nets and codes back from it."""
+    net, spec, scale, beta = cfg.net, part.spec, part.scale, cfg.schedule.beta
     n_nets, n_blocks = part.nets.count(), part.codes.count()
-    total = part.flags.count()
-    part.sizes = {"bitmap": 8 * -(-total // 64), "assignment": 0.0 if cfg.scheme == "single" else n_blocks * max(1, int(np.ceil(np.log2(max(2, n_nets))))) / 8}
-    latent_bits = cfg.schedule.beta if cfg.quant else 32
-    part.sizes["latents"] = n_blocks * net.latent_dim * latent_bits / 8 + (net.latent_dim > 0 and cfg.quant is not None) * 4 * (1 << cfg.schedule.beta)
-    rows = keep(N.parameter_rows(part.nets, net, scale), "parameters")
-    alive = rows.where("alive").count()
-    if cfg.prune:
-        part.sizes["mask"] = Z.mask_bytes(rows).agg(F.sum("bytes")).first()[0] or 0
+    low = step = 0.0
+    if net.latent_dim and cfg.quant:  # latents share a uniform grid of 2^beta values between their ends
+        ends = part.codes.select(F.explode("latent").alias("v")).agg(F.min("v"), F.max("v")).first()
+        low, high = ends[0] or 0.0, ends[1] or 0.0
+        step = (high - low) / ((1 << beta) - 1) or 1.0
+    words: dict[int, dict[int, str]] = {}
+    centers: dict[int, list[float]] = {}
+    symbols = 0
     if cfg.quant is None:
-        part.sizes["parameters"] = 4.0 * alive
-        return
-    by = Q.group_columns("net" if cfg.quant == "net" else "scale", group="all" if cfg.quant == "net" else "layer")
-    books = keep(Q.codebooks(rows, cfg.schedule.beta, by), "codebooks")
-    coded = keep(Q.quantize(rows, books, by), "coded")
-    if cfg.schedule.finetune and cfg.quant == "scale":
-        books = _finetune(blocks, part.nets, part.codes, coded, books, by, spec, net, cfg.schedule.finetune, cfg.schedule.finetune_rate, scale, cfg.loss)
-    part.sizes["codebooks"] = 4.0 * books.count()
-    bits = alive * cfg.schedule.beta
-    if cfg.entropy:
-        freq = E.symbol_freq(coded)
-        table = E.huffman_table(freq)
-        coded_size = E.coded_bits(table).first()
-        part.sizes["huffman"] = 3.0 * table.count()
-        bits = min(bits, coded_size["bits"]) if coded_size else bits
-    part.sizes["parameters"] = bits / 8
-    part.nets = keep(N.nets_of_rows(Q.dequantize(coded, books, by), net, part.nets), "nets")
-    if net.latent_dim:  # latents share a uniform grid of 2^beta values between their ends
-        flat = part.codes.select(F.explode("latent").alias("v")).agg(F.min("v"), F.max("v")).first()
-        lo, hi = flat[0] or 0.0, flat[1] or 0.0
-        step = (hi - lo) / ((1 << cfg.schedule.beta) - 1) or 1.0
-        part.codes = part.codes.withColumn("latent", F.transform("latent", lambda v: F.round((v - lo) / step) * step + lo))
+        streams = _raw_streams(part.nets)
+    else:
+        rows = keep(N.parameter_rows(part.nets, net, scale), "parameters")
+        by = Q.group_columns("net" if cfg.quant == "net" else "scale", group="all" if cfg.quant == "net" else "layer")
+        books = keep(Q.codebooks(rows, beta, by), "codebooks")
+        coded = keep(Q.quantize(rows, books, by), "coded")
+        if cfg.schedule.finetune and cfg.quant == "scale":  # a net's own codebook is not fine-tuned: its centers are its own least squares
+            books = _finetune(blocks, part.nets, part.codes, coded, books, by, spec, net, cfg.schedule.finetune, cfg.schedule.finetune_rate, scale, cfg.loss)
+        if cfg.quant == "scale":
+            for r in books.orderBy("layer", "kind", "code").collect():  # at most 2^beta of a group
+                centers.setdefault(r["layer"] * 2 + (r["kind"] == "b"), []).append(float(np.float32(r["center"])))
+        counts: dict[int, dict[int, int]] = {}
+        for r in coded.where("alive").groupBy(_group("layer", "kind").alias("grp"), "code").agg(F.count("*").alias("n")).collect():
+            counts.setdefault(r["grp"], {})[r["code"]] = r["n"]
+        for g, freq in counts.items():  # one table for each group; without entropy coding words of beta bits
+            words[g] = E.canonical(E.code_lengths(freq)) if cfg.entropy else {c: format(c, f"0{beta}b") for c in freq}
+        symbols = sum(map(len, words.values())) if cfg.entropy else 0
+        streams = _streams(coded, words, net, books if cfg.quant == "net" else None)
+    kept = lambda df, name: keep(df, f"{name}-{scale}")
+    part.stored = StoredScale(kept(streams, "streams"), kept(_masks(part.nets), "masks"), kept(_pack_latents(part.codes, low, step, beta), "latents"), words, centers, low, step)
+    size = lambda df, col: float(df.agg(F.sum(F.octet_length(col).cast("long"))).first()[0] or 0)
+    part.sizes = {
+        "bitmap": 8 * -(-part.flags.count() // 64), "assignment": 0.0 if cfg.scheme == "single" else n_blocks * max(1, int(np.ceil(np.log2(max(2, n_nets))))) / 8,
+        "latents": size(part.stored.latents, "latent"), "parameters": size(part.stored.streams, "data"),
+        "codebooks": 4.0 * sum(map(len, centers.values())) + size(part.stored.streams, "centers"), "huffman": 3.0 * symbols, "mask": size(part.stored.masks, "mask") if cfg.prune else 0.0,
+    }
+    nets, codes = restore(part.stored, net, beta)
+    part.nets, part.codes = kept(nets, "nets"), kept(codes, "codes")
 
 
 def encode_scale(target: DataFrame, spec: FieldSpec, scale: int, level: int, cfg: CodecConfig, coarsest: bool) -> tuple[ScalePart, DataFrame]:
@@ -285,21 +395,19 @@ def _needed(part: ScalePart, region: dict[str, tuple[int, int]]) -> DataFrame:
 
 
 def write_archive(archive: Archive, path: str) -> None:
-    """Parquet folders nets, codes and bitmap, each partitioned by scale, and the header as one row."""
-    spark = archive.parts[0].nets.sparkSession
-    header = {"spec": asdict(archive.spec), "config": {**asdict(replace(archive.config, seam=None))}, "sizes": {str(p.scale): p.sizes for p in archive.parts}, "seam": archive.seam.state() if archive.seam else None}
+    """Parquet folders streams, masks and latents, partitioned by scale, the bitmap of effective blocks, and one header
+    row with the geometry, the configuration, codebooks and code words. Nothing uncoded is written."""
+    spark = archive.parts[0].flags.sparkSession
+    small = {str(p.scale): {"sizes": p.sizes, "low": p.stored.low, "step": p.stored.step, "words": p.stored.words, "centers": p.stored.centers} for p in archive.parts}
+    header = {"spec": asdict(archive.spec), "config": {**asdict(replace(archive.config, seam=None))}, "scales": small, "seam": archive.seam.state() if archive.seam else None}
     spark.createDataFrame([(json.dumps(header),)], "header string").coalesce(1).write.mode("overwrite").parquet(f"{path}/header")
-    for name, pick in (("nets", lambda p: p.nets), ("codes", lambda p: p.codes), ("flags", lambda p: p.flags)):
+    for name in ("streams", "masks", "latents", "bitmap"):
         out = None
         for p in archive.parts:
-            df = pick(p).withColumn("scale", F.lit(p.scale))
+            df = empty_bitmap(p.flags.withColumn("scale", F.lit(p.scale))).drop("scale") if name == "bitmap" else getattr(p.stored, name)
+            df = df.withColumn("scale", F.lit(p.scale))
             out = df if out is None else out.unionByName(df)
         out.write.mode("overwrite").partitionBy("scale").parquet(f"{path}/{name}")
-    bits = None
-    for p in archive.parts:
-        words = empty_bitmap(p.flags.withColumn("scale", F.lit(p.scale)))
-        bits = words if bits is None else bits.unionByName(words)
-    bits.write.mode("overwrite").parquet(f"{path}/bitmap")
 
 
 def read_archive(spark: SparkSession, path: str) -> Archive:
@@ -310,5 +418,11 @@ def read_archive(spark: SparkSession, path: str) -> Archive:
     parts = []
     for scale in range(spec.scales, 0, -1):
         of = lambda name: spark.read.parquet(f"{path}/{name}").where(F.col("scale") == scale).drop("scale")  # noqa: E731, B023
-        parts.append(ScalePart(scale, spec.at_scale(scale), of("flags"), of("nets"), of("codes"), head["sizes"][str(scale)]))
+        small, own = head["scales"][str(scale)], spec.at_scale(scale)
+        words = {int(g): {int(c): w for c, w in t.items()} for g, t in small["words"].items()}
+        stored = StoredScale(of("streams"), of("masks"), of("latents"), words, {int(g): c for g, c in small["centers"].items()}, small["low"], small["step"])
+        block = spark.range(own.blocks).withColumn("word", F.floor(F.col("id") / 64))
+        set_ = F.expr("coalesce(shiftrightunsigned(bits, cast(id % 64 as int)) & 1, 0) = 1")
+        flags = block.join(of("bitmap"), "word", "left").select(F.col("id").alias("block_id"), set_.alias("effective"))
+        parts.append(ScalePart(scale, own, flags, *restore(stored, cfg.net, cfg.schedule.beta), small["sizes"], stored))
     return Archive(spec, cfg, parts, SeamNet.from_state(head["seam"]) if head["seam"] else None)

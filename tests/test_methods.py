@@ -191,6 +191,10 @@ def test_codec_round_trip(spark, tmp_path):
     again = C.read_archive(spark, str(tmp_path / "a"))
     whole = C.decode(again)
     assert M.errors(decoded, whole).first()["max_error"] < 1e-9
+    assert {c for f in ("streams", "masks", "latents", "bitmap") for c, t in spark.read.parquet(str(tmp_path / "a" / f)).dtypes if "double" in t or "float" in t} == set()
+    stored = sum(spark.read.parquet(str(tmp_path / "a" / f)).agg(F.sum(F.octet_length(c))).first()[0] for f, c in (("streams", "data"), ("masks", "mask"), ("latents", "latent")))
+    assert stored == sum(p.sizes[k] for p in archive.parts for k in ("parameters", "mask", "latents"))
+    assert again.parts[0].flags.exceptAll(archive.parts[0].flags).isEmpty() and again.parts[1].flags.exceptAll(archive.parts[1].flags).isEmpty()
     part = C.decode(again, region={"x": (2, 5), "t": (1, 1)})
     assert part.exceptAll(whole.where("x BETWEEN 2 AND 5 AND t = 1")).isEmpty() and part.count() == 4 * 8 * 8
     assert C.decode(again, upto=2).count() == 4 * 4 * 4 * 1
@@ -198,6 +202,16 @@ def test_codec_round_trip(spark, tmp_path):
     assert rows.where(F.exists(F.arrays_zip("theta", "alive"), lambda s: ~s["alive"] & (s["theta"] != 0))).isEmpty()  # pruned stay zero
 
 
+@pytest.mark.parametrize("change", [{"quant": "net"}, {"quant": None, "entropy": False}, {"entropy": False, "prune": None, "loss": "l2"}])
+def test_stored_forms(spark, tmp_path, change):
+    spec = FieldSpec(4, 4, 4, 2, 2, 2, 2, 1)
+    vox = C.keep(G.normalize(G.analytic_field(spark, spec)), "test")
+    cfg = C.CodecConfig.quick(4, per_net=(4,), net=sinenet.NetSpec(hidden=4, latent_dim=2), kmeans_steps=1, **change)
+    archive, decoded = C.encode(vox, spec, cfg)
+    C.write_archive(archive, str(tmp_path / "a"))
+    assert M.errors(decoded, C.decode(C.read_archive(spark, str(tmp_path / "a")))).first()["max_error"] < 1e-9
+
+
 def test_empty_and_constant_fields(spark):
     spec = FieldSpec(4, 4, 4, 2, 2, 2, 2, 2)
     none = spark.createDataFrame([], "x int, y int, z int, t int, v double")
