@@ -243,7 +243,10 @@ def code_entropy(spark, sf_dir):
     return E.entropy(E.symbol_freq(fixed_codes(spark, sf_dir)[0])).select("symbols", "total", r6(F.col("entropy"), "entropy"))
 
 
-@query("coded_bits")
+@query("coded_bits", f"""WITH RECURSIVE {CODES}, f AS (SELECT count(*) AS freq FROM code GROUP BY code),
+ h(weights, bits) AS (SELECT list_sort(list(freq)), CAST(0 AS BIGINT) FROM f UNION ALL
+  SELECT list_sort(list_append(weights[3:], weights[1] + weights[2])), CAST(bits + weights[1] + weights[2] AS BIGINT) FROM h WHERE len(weights) > 1)
+ SELECT 'all' AS grp, max(bits) AS bits, CAST((SELECT sum(freq) FROM f) AS BIGINT) AS symbols FROM h""")
 def coded_bits(spark, sf_dir):
     return E.coded_bits(E.huffman_table(E.symbol_freq(fixed_codes(spark, sf_dir)[0])))
 

@@ -115,14 +115,30 @@ def match_rate(make, target_cr: float, lo: float, hi: float, spec: FieldSpec, st
     return (lo * hi) ** 0.5
 
 
+def match_size(target_bytes: float, blocks: int, bytes_each: float, base: NetSpec) -> NetSpec:
+    """The widest net without latent codes of which one for each block takes at most the target's bytes (at least one unit)."""
+    fits = lambda w: blocks * replace(base, hidden=w, latent_dim=0).parameters * bytes_each <= target_bytes
+    width = 1
+    while fits(width + 1):
+        width += 1
+    return replace(base, hidden=width, latent_dim=0)
+
+
+def match_params(parameters: int, blocks: int, base: NetSpec) -> NetSpec:
+    """The widest net of which one for each block has at most so many parameters in all."""
+    return match_size(float(parameters), blocks, 1.0, base)
+
+
 def w01(spark, sf_dir, preset=SMALL):
-    """Main comparison of four methods, at the method's own rate."""
+    """Main comparison of four methods, the coders' tolerances matched to the method's own rate."""
     rows = []
     for name in ("f0", *preset.volumes):
         vox, spec = field(spark, sf_dir, preset, name)
         own = run_method(f"w01-{name}", "method", vox, spec, preset.config)
         rate = max(1.0, next(r[3] for r in own if r[2] == "cr"))
-        rows += own + run_spline(f"w01-{name}", vox, spec, 0.05) + run_tucker(f"w01-{name}", vox, spec, 0.1) + run_global(f"w01-{name}", vox, spec, rate, preset.iterations)
+        eps = match_rate(lambda e, v=vox, s=spec: spline_encode(v, s, e), rate, 1e-4, 1.0, spec)
+        tol = match_rate(lambda e, v=vox, s=spec: tucker_encode(v, s, e), rate, 1e-4, 0.9, spec)
+        rows += own + run_spline(f"w01-{name}", vox, spec, eps) + run_tucker(f"w01-{name}", vox, spec, tol) + run_global(f"w01-{name}", vox, spec, rate, preset.iterations)
     return run_records(spark, rows)
 
 
@@ -170,13 +186,24 @@ def w05(spark, sf_dir, preset=SMALL):
 
 
 def w06(spark, sf_dir, preset=SMALL):
-    """Block assignment: equal clusters, plain k-means, spatial order, and one net per block."""
+    """Block assignment: equal clusters, plain k-means, spatial order, and one net per block, with the same net and
+    with nets that take the same bytes or have the same parameters in all."""
     vox, spec = field(spark, sf_dir, preset)
     rows = []
     for scheme in ("uniform", "kmeans", "order"):
         rows += run_method("w06", scheme, vox, spec, replace(preset.config, scheme=scheme), False)
     rows += run_method("w06", "single", vox, spec, CodecConfig.single(preset.config), False)
     rows += run_method("w06", "single+", vox, spec, CodecConfig.single(preset.config, True), False)
+    archive, _ = encode(vox, spec, preset.config)
+    blocks = sum(p.codes.count() for p in archive.parts)
+    parameters = sum(p.nets.count() for p in archive.parts) * preset.config.net.parameters
+    for name, compress, net in (
+        ("single, equal size", False, match_size(archive.bytes, blocks, 4.0, preset.config.net)),
+        ("single+, equal size", True, match_size(archive.bytes, blocks, preset.config.schedule.beta / 8, preset.config.net)),
+        ("single, equal parameters", False, match_params(parameters, blocks, preset.config.net)),
+    ):
+        cfg = replace(CodecConfig.single(preset.config, compress), net=net)
+        rows += run_method("w06", name, vox, spec, cfg, False, width=net.hidden)
     return run_records(spark, rows)
 
 
@@ -255,11 +282,36 @@ def w17(spark, sf_dir, preset=PUBLISHED, volumes=tuple(f"f{i}" for i in range(11
     return out
 
 
-def w18(spark, sf_dir, preset=SMALL):
+#: Short training on the tables' own volumes: one encode takes some two minutes on 8 cores.
+TABLES = Preset("tables", CodecConfig.quick(60, tau=1e-2, net=NetSpec(hidden=16), kmeans_steps=3), FieldSpec(8, 8, 8, 2, 4, 4, 4, 2), 100, ("f9",))
+
+
+def codec_lineitem(spark, sf_dir):
+    """The trained codec over the whole line item volume: of every scale how many voxels and blocks its decoded field
+    has, whether the archive's reader gets the encoder's field, and whether accuracy rises from scale to scale."""
+    from ..operators.pyramid import upsample
+
+    vox, spec = field(spark, sf_dir, TABLES, "f9")
+    archive, decoded = encode(vox, spec, TABLES.config)
+    rows, before = [], float("-inf")
+    for scale in range(spec.scales, 0, -1):
+        got = keep(decode(archive, scale), "progressive")
+        fine = got
+        for s in range(scale - 1, 0, -1):
+            fine = upsample(fine, spec.at_scale(s))
+        psnr = M.avg_psnr(vox, fine).first()[0]
+        same = scale > 1 or M.errors(decoded, got).first()["max_error"] < 1e-9
+        part = next(p for p in archive.parts if p.scale == scale)
+        rows.append((scale, got.count(), part.flags.count(), bool(same), psnr > before))
+        before = psnr
+    return spark.createDataFrame(rows, "scale int, voxels long, blocks long, same_field boolean, more_accurate boolean")
+
+
+def w18(spark, sf_dir, preset=SMALL, volume="f0"):
     """Progressive decoding: accuracy of every scale's field, brought to the finest grid."""
     from ..operators.pyramid import upsample
 
-    vox, spec = field(spark, sf_dir, preset)
+    vox, spec = field(spark, sf_dir, preset, volume)
     archive, _ = encode(vox, spec, preset.config)
     rows = []
     for scale in range(spec.scales, 0, -1):
@@ -377,5 +429,9 @@ def tucker_error(spark, sf_dir):
     return spark.createDataFrame([(bool((err / power) ** 0.5 <= 0.05 + 1e-9),)], "within boolean")
 
 
-QUERIES |= {"spline_bound": spline_bound, "tucker_error": tucker_error}
+QUERIES |= {"spline_bound": spline_bound, "tucker_error": tucker_error, "codec_lineitem": codec_lineitem}
+#: The line item volume is 16 x 8 x 8 x 28 in blocks of 4 x 2 x 2; every scale halves all four axes.
+ORACLES["codec_lineitem"] = """WITH s AS (SELECT CAST(i AS INTEGER) AS scale, CAST(pow(2, i - 1) AS BIGINT) AS k FROM range(1, 4) r(i)), t AS (SELECT max(4 * (year(l_shipdate) - 1995) + quarter(l_shipdate) - 1) + 1 AS nt FROM lineitem),
+ e AS (SELECT scale, CAST(ceil(16 / k) AS BIGINT) AS x, CAST(ceil(8 / k) AS BIGINT) AS y, CAST(ceil(8 / k) AS BIGINT) AS z, CAST(ceil(nt / k) AS BIGINT) AS t FROM s, t)
+ SELECT scale, x * y * z * t AS voxels, CAST(ceil(x / 4) * ceil(y / 2) * ceil(z / 2) * t AS BIGINT) AS blocks, true AS same_field, true AS more_accurate FROM e"""
 ORACLES |= {"spline_bound": "SELECT CAST(16 * 8 * 8 * 28 AS BIGINT) AS n, true AS within", "tucker_error": "SELECT true AS within"}

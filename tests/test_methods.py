@@ -253,3 +253,14 @@ def test_assignment_is_the_same_at_every_size(spark, monkeypatch):
     for s in want:
         with pytest.raises(ValueError, match="sharded"):
             got(s)
+
+
+def test_matched_nets():
+    from fieldpack.plans.workloads import match_params, match_size
+
+    base = sinenet.NetSpec(hidden=24, latent_dim=4)
+    for target in (1e4, 1e5, 1e6):
+        net = match_size(target, 50, 4.0, base)
+        wider = sinenet.NetSpec(hidden=net.hidden + 1, latent_dim=0)
+        assert net.latent_dim == 0 and 50 * 4 * wider.parameters > target and (net.hidden == 1 or 50 * 4 * net.parameters <= target)
+    assert match_params(50 * sinenet.NetSpec(hidden=9, latent_dim=0).parameters, 50, base).hidden == 9
