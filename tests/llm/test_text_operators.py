@@ -58,6 +58,63 @@ def test_bpe_on_odd_rows(odd):
     assert sorted(bytes(r["b"]) for r in got) == sorted((t or "").encode() for _, t in ODD)
 
 
+def test_merges_equal_the_library(codec):
+    import tiktoken
+
+    c, pattern, path = codec
+    ranks = bpe.load_ranks(path)
+    core = tiktoken.Encoding("own", pat_str=pattern, mergeable_ranks=ranks, special_tokens={})._core_bpe
+    rng = random.Random(5)
+    for n in (1, 2, 3, 7, 40, bpe.SHORT_PIECE, bpe.SHORT_PIECE + 1, 3000):
+        for symbols in ("a", "ab", "etaoin", "abcdefghijklmnopqrstuvwxyz0123456789é中"):
+            raw = "".join(rng.choice(symbols) for _ in range(n)).encode()
+            assert bpe.merge_piece(raw, ranks) == core.encode_single_piece(raw)
+            if raw not in ranks:
+                assert bpe._merge_by_heap(raw, ranks) == bpe.merge_piece(raw, ranks)
+
+
+def test_scans_of_chunks_are_stitched(codec):
+    c = codec[0]
+    rng = random.Random(7)
+    parts = ["'s", "'re", "'", "r", "e", " ", "  ", "\n", "\t", "a", "é", "1", "...", " b", "'l", "l", "中", " ", "\U0001f600"]
+    joined = 0
+    for _ in range(400):
+        s = "".join(rng.choice(parts) for _ in range(rng.randint(1, 120)))
+        for chunk, overlap in ((9, 9), (20, 10), (32, 8)):
+            n = -(-len(s) // chunk)
+            scans = [bpe.scan_chunk(c, i * chunk, s[i * chunk : (i + 1) * chunk + overlap], chunk, overlap, (i + 1) * chunk + overlap >= len(s)) for i in range(n)]
+            got = bpe.stitch(scans)
+            joined += got is not None
+            assert got is None or got == c.encode(s)
+    assert joined > 800
+
+
+@pytest.mark.parametrize("chunk,overlap", [(200, 40), (1 << 16, 1 << 10)])
+def test_chunks_as_rows_equal_the_library(codec, spark, sf_dir, chunk, overlap):
+    import hashlib
+
+    import tiktoken
+
+    _, pattern, path = codec
+    library = tiktoken.Encoding("own", pat_str=pattern, mergeable_ranks=bpe.load_ranks(path), special_tokens={})
+    docs = spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text")
+    blank = spark.createDataFrame([(-1, " " * 900), (-2, "z" * 900), (-2, "z" * 900), (-3, None), (None, "no id " * 90)], docs.schema)
+    docs = docs.union(blank)
+
+    def want(text):
+        ids = np.asarray(library.encode_ordinary(text or ""), dtype="<u4").tobytes()
+        return len(ids) // 4, hashlib.sha256(ids).hexdigest(), hashlib.sha256((text or "").encode()).hexdigest()
+
+    expected = sorted(((r["doc_id"], *want(r["text"])) for r in docs.collect()), key=repr)
+    got = bpe.digest_documents(docs, path, pattern, chunk, overlap)
+    assert got.columns == ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"]
+    assert sorted((tuple(r) for r in got.collect()), key=repr) == expected
+    full = bpe.encode_documents(docs.withColumn("key", F.lit(1)).withColumn("i", F.lit("x")), path, pattern, "text", chunk, overlap)
+    rows = full.select("doc_id", "n_tokens", "token_ids", "key", "i").collect()
+    assert sorted(((r["doc_id"], r["n_tokens"], hashlib.sha256(r["token_ids"]).hexdigest()) for r in rows), key=repr) == [x[:3] for x in expected]
+    assert bpe.digest_documents(docs.limit(0), path, pattern, chunk, overlap).count() == 0
+
+
 def naive_stretch(s, cls):
     hot = [i for i in range(len(s) - cls.window + 1) if sum(cls.weight(c) for c in Counter(s[i : i + cls.window]).values()) <= cls.most]
     return (hot[0], hot[-1] + cls.window) if hot else None
