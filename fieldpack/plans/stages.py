@@ -17,9 +17,14 @@ def _own_folder() -> str:
 
 def keep(df: DataFrame, name: str) -> DataFrame:
     """Writes `df` under `spark.checkpoint.dir` (a temporary folder where it is unset, as in tests) and reads it
-    back. The plan's lineage ends there, and lost executors lose nothing that was written."""
+    back; elsewhere than on one machine the setting must be there. The plan's lineage ends there, and lost executors lose nothing that was written."""
     spark = df.sparkSession
-    where = spark.conf.get("spark.checkpoint.dir", None) or _own_folder()
+    where = spark.conf.get("spark.checkpoint.dir", None)
+    if not where:
+        master = spark.conf.get("spark.master", "")
+        if not (master == "local" or master.startswith("local[")):
+            raise RuntimeError("spark.checkpoint.dir must name a folder that driver and executors share")
+        where = _own_folder()
     path = f"{where}/{name}-{uuid.uuid4().hex}"
     df.write.parquet(path)
     return spark.read.schema(df.schema).parquet(path)
