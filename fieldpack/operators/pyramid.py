@@ -8,6 +8,7 @@ neighbour repeats the left), space first and then time. So down(up(c)) = c.
 from __future__ import annotations
 
 import numpy as np
+import pandas as pd
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -50,14 +51,63 @@ def _up_axis(vox: DataFrame, axis: str, fine: int) -> DataFrame:
     return vox.withColumn("_next", nxt).select(*others, F.inline(pair)).where(F.col("_at") < fine).select(*others, F.col("_at").alias(axis), F.col("_v").alias("v")).select(*AXES, "v")
 
 
-def upsample(vox: DataFrame, fine: FieldSpec, order: tuple[str, ...] = AXES) -> DataFrame:
-    """A dense coarse field on the grid of `fine`: one window pass per halved axis, in `order`."""
+def upsample_sparse(vox: DataFrame, fine: FieldSpec, order: tuple[str, ...] = AXES) -> DataFrame:
+    """A coarse field with holes on the grid of `fine`: one window pass per halved axis, in `order`. Next to a hole the
+    neighbour is the next cell present, so only values that no hole adjoins are those of the dense field."""
     for a in order:
         if a in fine.halved_axes():
             vox = _up_axis(vox, a, fine.extents[a])
     return vox
 
 
+#: Coarse cells of a tile along each axis: with its halo a tile has at most 9 * 9 * 9 * 5 cells and makes 32,768.
+TILE = {"x": 8, "y": 8, "z": 8, "t": 4}
+
+
+def upsample(vox: DataFrame, fine: FieldSpec, order: tuple[str, ...] = AXES) -> DataFrame:
+    """A dense coarse field on the grid of `fine`, axis after axis in `order`.
+
+    One shuffle for all axes: a cell goes to the tiles that read it (its own and, on a tile's first cells, the ones
+    before), and a tile is interpolated as one array. A coarse field with a missing or a repeated cell
+    is an error: its cells have no place in the array."""
+    halved = [a for a in order if a in fine.halved_axes()]
+    if not halved:
+        return vox.select(*AXES, "v")
+    coarse = fine.coarser().extents
+    cells = vox.select(*AXES, F.col("v").cast("double").alias("v"))
+    for a in AXES:
+        own = F.floor(F.col(a) / TILE[a]).cast("int")
+        to = F.array(own)
+        if a in halved:
+            to = F.when((F.col(a) % TILE[a] == 0) & (own > 0), F.array(own - 1, own)).otherwise(to)
+        cells = cells.withColumn(f"_t{a}", F.explode(to) if a in halved else own)
+    tile = [f"_t{a}" for a in AXES]
+    off, grid = F.lit(0), tuple(TILE[a] + 1 for a in AXES)
+    for a, m in zip(AXES, grid):
+        off = off * m + F.col(a) - F.col(f"_t{a}") * TILE[a]
+    # both lists are filled by the same rows in the same order
+    got = cells.select(*tile, off.cast("int").alias("at"), F.coalesce("v", F.lit(float("nan"))).alias("v")).groupBy(*tile).agg(F.collect_list("at").alias("at"), F.collect_list("v").alias("v"))
+    ends, ups = fine.extents, tuple(AXES.index(a) for a in halved)
+
+    def run(batches):
+        for pdf in batches:
+            for key, at, v in zip(pdf[tile].to_numpy(), pdf["at"], pdf["v"]):
+                first = [int(k) * TILE[a] for k, a in zip(key, AXES)]
+                n = [min(coarse[a] - o, TILE[a] + (a in halved)) for o, a in zip(first, AXES)]
+                flat = np.ravel_multi_index(np.unravel_index(at, grid), n)
+                if len(np.unique(flat)) != len(flat) or len(flat) != np.prod(n):
+                    raise ValueError("upsample: the coarse field is not dense")
+                box = np.empty(np.prod(n))
+                box[flat] = v
+                begin = [2 * o if a in halved else o for o, a in zip(first, AXES)]
+                shape = tuple(min(ends[a] - o, 2 * TILE[a]) if a in halved else m for o, m, a in zip(begin, n, AXES))
+                out = up_array(box.reshape(n), shape, ups)
+                where = np.indices(shape).reshape(4, -1)
+                yield pd.DataFrame({**{a: (w + o).astype("int32") for a, w, o in zip(AXES, where, begin)}, "v": out.ravel()})
+
+    return got.mapInPandas(run, "x int, y int, z int, t int, v double")
+
+
 def residual(fine: DataFrame, up: DataFrame) -> DataFrame:
     """fine - up, voxel by voxel."""
     return fine.join(up.withColumnRenamed("v", "_up"), list(AXES)).select(*AXES, (F.col("v") - F.col("_up")).alias("v"))

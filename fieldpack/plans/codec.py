@@ -16,7 +16,7 @@ from ..operators import prune as Z
 from ..operators import quant as Q
 from ..operators import train as N
 from ..operators.blocks import empty_bitmap, pack_blocks, unpack_blocks, values_energy
-from ..operators.pyramid import compose, downsample, residual, upsample
+from ..operators.pyramid import compose, downsample, residual, upsample, upsample_sparse
 from ..operators.seam import SeamNet, apply_seam, train_seam
 from ..operators.sinenet import NetSpec, backward, forward, local_coordinates, net_inputs
 from ..spec import AXES, FieldSpec
@@ -370,7 +370,8 @@ def decode(archive: Archive, upto: int = 1, region: dict[str, tuple[int, int]] |
         if decoded is None:
             decoded = got
         else:
-            decoded = compose(upsample(decoded, part.spec), got)
+            up = upsample if region is None else upsample_sparse  # a region's field has holes
+            decoded = compose(up(decoded, part.spec), got)
     if upto == 1 and archive.seam is not None:
         decoded = apply_seam(decoded, archive.spec, archive.seam)
     if region is not None:

@@ -47,6 +47,16 @@ def test_pyramid_equals_whole_array_twin(spark, shape):
     assert np.array_equal(P.down_array(P.up_array(small, shape, axes), axes), small)  # down(up(c)) = c
 
 
+def test_up_over_tile_borders(spark):
+    shape, axes = (19, 5, 1, 11), (0, 1, 3)
+    spec = FieldSpec(*shape, 2, 2, 1, 2)
+    small = np.random.default_rng(2).normal(size=(10, 3, 1, 6))
+    low = voxels(spark, small)
+    assert np.array_equal(array(P.upsample(low, spec), shape), P.up_array(small, shape, axes))
+    with pytest.raises(Exception, match="not dense"):
+        P.upsample(low.where("x <> 3 OR t <> 2"), spec).count()
+
+
 def test_ragged_blocks_round_trip(spark):
     spec = FieldSpec(5, 3, 4, 2, 2, 2, 3, 1)
     a = np.random.default_rng(2).normal(size=(5, 3, 4, 2))
