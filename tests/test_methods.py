@@ -274,3 +274,19 @@ def test_matched_nets():
         wider = sinenet.NetSpec(hidden=net.hidden + 1, latent_dim=0)
         assert net.latent_dim == 0 and 50 * 4 * wider.parameters > target and (net.hidden == 1 or 50 * 4 * net.parameters <= target)
     assert match_params(50 * sinenet.NetSpec(hidden=9, latent_dim=0).parameters, 50, base).hidden == 9
+
+
+def test_nearest_distances_in_short_plans(spark):
+    """Copies, far points and a timestep without partners: as brute force, and no plan repeats an earlier round."""
+    rng = np.random.default_rng(4)
+    a, b = np.round(rng.uniform(0, 20, (60, 3)), 1), np.round(rng.uniform(0, 12, (40, 3)), 1)
+    a[0], a[1] = (500.0, 0.0, 0.0), (-90.0, 3.0, 2.0)
+    rows = lambda x, t=0: [(t, *map(float, r)) for r in x]
+    kind = "t int, px double, py double, pz double"
+    p, q = spark.createDataFrame(rows(a) * 3 + rows(a[:5], 1), kind), spark.createDataFrame(rows(b) * 4, kind)
+    near = M.nearest_distances(p, q)
+    want = {r: min(math.dist(r[1:], s) for s in b) for r in rows(a)}
+    got = {tuple(r[:4]): r["d"] for r in near.collect()}
+    assert near.count() == len(got) and got == pytest.approx(want)
+    for df, joins in ((near, 1), (M.chamfer(p, q, exact_cells=True), 3)):
+        assert df._jdf.queryExecution().optimizedPlan().toString().count("Join ") <= joins
