@@ -18,7 +18,7 @@ def test_every_twin_has_a_query():
 
 
 #: Queries that once made up their data and now read the line items.
-MOVED = ["analytic_wave", "audit_best_of", "audit_mean_gain", "audit_net_sizes", "audit_rank_methods", "audit_seam_size", "audit_speedup"]
+MOVED = ["analytic_wave", "audit_best_of", "audit_mean_gain", "audit_net_sizes", "audit_rank_methods", "audit_seam_size", "audit_speedup", "block_geometry"]
 
 
 @pytest.fixture(scope="module")
